@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from . import bpe_roundtrip, exact_dedup, packing, token_counts
+from . import bpe_roundtrip, exact_dedup, packing, quality, simhash, token_counts
 
 QUERIES = {
     "op1_exact_dedup": exact_dedup.op1_exact_dedup,
     "op4_token_counts": token_counts.op4_token_counts,
     "op6_packing": packing.op6_packing,
     "op7_bpe_roundtrip": bpe_roundtrip.op7_bpe_roundtrip,
+    "op9_quality": quality.op9_quality,
+    "op10_simhash": simhash.op10_simhash,
 }
 ORACLES = {"op1_exact_dedup": exact_dedup.ORACLE}
