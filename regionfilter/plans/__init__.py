@@ -1 +1 @@
-
+"""Planning on histograms of bounded size: rates, cuts, planners, competing designs, measures."""
