@@ -64,7 +64,7 @@ def size_per_key(a, rates) -> float:
         if share > 0:
             if rate <= 0:
                 return math.inf
-            total += share * math.log2(1 / rate)
+            total += float(share) * math.log2(1 / float(rate))
     return total
 
 

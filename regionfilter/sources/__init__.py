@@ -1 +1 @@
-
+"""Reading tables and streams, writing and reading filters."""
