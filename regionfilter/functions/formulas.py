@@ -35,4 +35,6 @@ def standard_rate(m: Column, h: Column, n: Column) -> Column:
 def shingles(text: Column, n: int) -> Column:
     """array<string> of the word n-grams of a text; empty if it has fewer words."""
     words = F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), r"\s+"), lambda w: w != "")
-    return F.when(F.size(words) >= n, F.transform(F.sequence(F.lit(1), F.size(words) - n + 1), lambda i: F.concat_ws(" ", F.slice(words, i, n)))).otherwise(F.array().cast("array<string>"))
+    # the words are bound once as a variable, or they would be split anew for each n-gram
+    grams = F.transform(F.array(words), lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.concat_ws(" ", F.slice(w, i, n)))))
+    return F.coalesce(F.get(grams, F.lit(0)), F.array().cast("array<string>"))

@@ -7,8 +7,9 @@ from pyspark.sql import SparkSession
 
 from pyspark.sql.functions import pandas_udf, udtf
 
+from ..schemas import PLAN
+
 
-@pandas_udf("double")
 def divergence_of(kc: pd.Series, qc: pd.Series) -> float:
     """Divergence of the shares of two count columns over a group, half a query added to each row."""
     from ..plans.thresholds import divergence
@@ -17,7 +18,6 @@ def divergence_of(kc: pd.Series, qc: pd.Series) -> float:
     return divergence(kc / max(kc.sum(), 1e-300), q / q.sum())
 
 
-@udtf(returnType="region int, seg_lo int, seg_hi int, divergence double")
 class BestCuts:
     """best_cuts(TABLE(seg, kc, qc), k): the regions of largest divergence."""
 
@@ -38,7 +38,6 @@ class BestCuts:
                 yield r + 1, cuts[r], cuts[r + 1], d
 
 
-@udtf(returnType="region int, seg_lo int, seg_hi int, a double, b double, rate double, n_keys bigint, bits bigint, hashes int")
 class PlanRegions:
     """plan_regions(TABLE(seg, kc, qc), k, target): the plan of the top-boundary search."""
 
@@ -69,9 +68,6 @@ def register(spark: SparkSession) -> None:
     """kl_term, seg_of, ideal_bits; divergence_of; best_cuts and plan_regions, in this session."""
     for name, body in SCALARS.items():
         spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION {name}{body}")
-    spark.udf.register("divergence_of", divergence_of)
-    spark.udtf.register("best_cuts", BestCuts)
-    spark.udtf.register("plan_regions", PlanRegions)
-
-
-
+    spark.udf.register("divergence_of", pandas_udf(divergence_of, "double"))
+    spark.udtf.register("best_cuts", udtf(BestCuts, returnType="region int, seg_lo int, seg_hi int, divergence double"))
+    spark.udtf.register("plan_regions", udtf(PlanRegions, returnType=PLAN))

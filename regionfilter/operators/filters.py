@@ -160,9 +160,17 @@ def probe(df: DataFrame, filt: DataFrame, plan: Plan, strategy: str = "auto", fa
     fixed = F.when(F.col("elem").isNull(), F.lit(False)).otherwise(_without_lookup(plan))
     if strategy == "array":
         words, begins = packed(filt, plan, sizing)
-        asked = _positions(rows, plan, family, sizing).withColumn("__begin", _of_region(begins, "int"))
-        hit = F.forall("positions", lambda p: F.get(words, F.col("__begin") + F.floor(p / WORD).cast("int")).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(p, F.lit(WORD)).cast("int"))) != 0)
-        return asked.withColumn("maybe", F.coalesce(fixed, hit, F.lit(False))).drop("positions", "__begin")
+        _, h = _sizes(plan, sizing)
+        h1, h2 = bases(F.col("elem"), family)
+        size = F.greatest(F.lit(1).cast("bigint"), _of_region(m))
+        asked = rows.withColumn("__m", size).withColumn("__begin", _of_region(begins, "int")).withColumn("__h", _of_region(h, "int"))
+        asked = asked.withColumn("__at", F.pmod(h1, F.col("__m"))).withColumn("__step", F.pmod(h2.bitwiseOR(F.lit(1).cast("bigint")), F.col("__m")))
+        hit = F.lit(True)
+        for i in range(max(h)):  # written out, so that the constant is folded once and tests stop at the first miss
+            p = F.pmod(F.col("__at") + i * F.col("__step"), F.col("__m"))
+            bit = F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(p, F.lit(WORD)).cast("int"))
+            hit = hit & ((F.col("__h") <= i) | (F.get(words, F.col("__begin") + F.floor(p / WORD).cast("int")).bitwiseAND(bit) != 0))
+        return asked.withColumn("maybe", F.coalesce(fixed, hit, F.lit(False))).drop("__m", "__begin", "__h", "__at", "__step")
     if strategy == "broadcast":
         if sum(m) > BROADCAST_BITS:
             raise ValueError(f"{sum(m)} bits are too many to broadcast; probe with strategy 'shuffle'")
