@@ -71,8 +71,9 @@ def _furniture(tag: str, source: str, in_article: bool) -> str:
 
 
 def events(page: str) -> list[tuple[str, str]]:
-    """(kind, text) in page order; kinds: 'word', 'word:a', 'word:out', 'furniture', 'tag:NAME', with '+' before
-    those that begin or end a block."""
+    """(kind, text) in page order; kinds: 'word', 'word:a', 'word:out', 'furniture', 'tag:NAME', and 'mark' for the
+    marks of labelled pages. A '+' before them says that they begin or end a block, '@in' after them that they stand
+    in an article or main element."""
     out: list[tuple[str, str]] = []
     has_article = re.search(r"<(article|main)[\s>]", page, re.I) is not None
     article = links = depth = 0
@@ -85,7 +86,9 @@ def events(page: str) -> list[tuple[str, str]]:
         if tag is None:
             if page[m.start()] != "<" or m.end() == m.start() + 1:
                 if not inside:
-                    out.append(("word:a" if links else "word" if article or not has_article else "word:out", m[0]))
+                    out.append(("word" if article else "word:out" if has_article else "word:a" if links else "word", m[0]))
+            elif m[0] in MARKS:
+                out.append(("mark", ""))
             elif m[0].startswith("<![CDATA[") and not inside:
                 out.append(("word", m[0][9:].removesuffix("]]>")))
             continue
@@ -111,7 +114,7 @@ def events(page: str) -> list[tuple[str, str]]:
         if not closes and tag not in VOID:
             kind = _furniture(tag, source, article > 0)
             if kind:
-                out.append(("+furniture" if tag in BLOCKS or tag in FURNITURE_TAGS else "furniture", ""))
+                out.append((("+furniture" if tag in BLOCKS or tag in FURNITURE_TAGS else "furniture") + ("@in" if article else ""), ""))
                 if tag in RAW:  # its text is no markup
                     end = re.compile(rf"</{tag}\s*>", re.I).search(page, at)
                     at = end.end() if end else size if tag in ("script", "style") else at
@@ -124,7 +127,7 @@ def events(page: str) -> list[tuple[str, str]]:
             links = 0 if closes else 1
         if tag in BLOCKS:
             links = 0
-        out.append((("+tag:" if tag in BLOCKS else "tag:") + tag, " " if tag == "br" else ""))
+        out.append((("+tag:" if tag in BLOCKS else "tag:") + tag + ("@in" if article else ""), " " if tag == "br" else ""))
     return out
 
 
@@ -136,15 +139,19 @@ class Weights:
         odds = lambda k: math.log((inside[k] + 0.5) / all_in) - math.log((outside[k] + 0.5) / all_out)
         base = odds("word") - odds("word:out")
         self.word = {"word": 1.0, "word:a": max(0.1, min(0.8, (odds("word:a") - odds("word:out")) / base)), "word:out": 0.02}
-        self.tag = {k: -min(1.5, max(0.05, (odds("word") - odds(k)) / base)) for k in {*inside, *outside} if k.startswith("tag:") or k == "furniture"}
-        self.other = -0.5
+        self.tag = {k: -min(1.5, max(0.05, (odds("word") - odds(k)) / base)) for k in {*inside, *outside} if k.startswith("tag:") or k.startswith("furniture")}
+        unseen = [v for k, v in self.tag.items() if k.endswith("@in")]
+        self.other, self.other_in = -0.5, sum(unseen) / len(unseen) if unseen else -0.1
 
     def of(self, kind: str, text: str) -> float:
         kind = kind.lstrip("+")
-        return self.word[kind] * len(text.split()) if kind in self.word else self.tag.get(kind, self.other)
+        if kind in self.word:
+            return self.word[kind] * len(text.split())
+        return 0.0 if kind == "mark" else self.tag.get(kind, self.other_in if kind.endswith("@in") else self.other)
 
 
-CONTENT = re.compile(r"<!--\[-->(.*?)<!--\]-->", re.S)
+#: what stands around the content of a labelled page
+MARKS = ("<!--[-->", "<!--]-->")
 
 
 def labelled_pages() -> list[str]:
@@ -154,7 +161,7 @@ def labelled_pages() -> list[str]:
     menu = "<ul>" + "".join(f'<li><a href="/{w}">{w}</a></li>' for w in words[:8]) + "</ul>"
     pages = []
     for k in range(12):
-        body = "".join(f"<p>{say(30 + 7 * i, i)} <a href='#'>{say(2, i)}</a> {say(9, i)}.</p>" for i in range(2 + k % 4)) + (f"<ul><li>{say(8, k)}</li><li>{say(6, k)}</li></ul>" if k % 3 == 0 else "") + (f"<blockquote>{say(15, k)}</blockquote><h2>{say(4, k)}</h2><p><b>{say(12, k)}</b><br>{say(5, k)}</p>" if k % 2 else "")
+        body = "".join(f"<p>{say(30 + 7 * i, i)} <a href='#'>{say(2, i)}</a> {say(9, i)}.</p>" for i in range(2 + k % 4)) + (f"<ul><li>{say(8, k)}</li><li>{say(6, k)}</li></ul><div class='ad'>x</div>" if k % 3 == 0 else "") + (f"<blockquote>{say(15, k)}</blockquote><h2>{say(4, k)}</h2><p><b>{say(12, k)}</b><br>{say(5, k)}</p>" if k % 2 else "")
         content = f"<!--[--><h1>{say(6, k)}</h1>{body}<!--]-->"
         content = (f"<article>{content}</article>", f'<div class="content">{content}</div>', f"<main>{content}</main>")[k % 3]
         side = f'<div class="box"><h3>{say(2, k)}</h3>{menu}</div><div><span>{say(3, k)}</span></div>'
@@ -166,13 +173,13 @@ def learn(pages: list[str]) -> Weights:
     """Weights from pages with marked content."""
     inside, outside = Counter(), Counter()
     for page in pages:
-        m = CONTENT.search(page)
-        for counts, part in ((inside, m[1]), (outside, page[: m.start()] + page[m.end() :])):
-            for kind, text in events(part):
-                kind = kind.lstrip("+")
-                if counts is outside and kind == "word":
-                    kind = "word:out"
-                counts[kind] += len(text.split()) if kind.startswith("word") else 1
+        counts = outside
+        for kind, text in events(page):
+            kind = kind.lstrip("+")
+            if kind == "mark":
+                counts = inside if counts is outside else outside
+            else:
+                counts["word:out" if counts is outside and kind == "word" else kind] += len(text.split()) if kind.startswith("word") else 1
     return Weights(inside, outside)
 
 
