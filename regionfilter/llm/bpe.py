@@ -25,7 +25,9 @@ TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
 #: characters of the longest chunk that is encoded in one go, and of a leaf of the tree
 LEAF = 2048
 #: chunks remembered by a worker
-CACHE = 600_000
+CACHE = 300_000
+#: characters of texts that are in chunks at the same time, about
+SLICE = 1 << 20
 CHUNK = re.compile(r"[ \t\n\r\f\v]*[^ \t\n\r\f\v]+|[ \t\n\r\f\v]+")
 #: white space beside the six of ASCII, under any definition: then a cut needs a look at what stands before it
 ODD_SPACE = re.compile(r"[\x1c-\x1f\x85\xa0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u3000\ufeff]")
@@ -54,7 +56,17 @@ class Encoder:
         self.decimal_of = [str(i) for i in range(size)]
 
     def encode_many(self, texts: list[str]) -> list[bytes]:
-        """The ids of each text as little-endian unsigned 32-bit numbers."""
+        """The ids of each text as little-endian unsigned 32-bit numbers; some texts at a time, for their chunks are
+        many small strings."""
+        out, begin, size = [], 0, 0
+        for i, t in enumerate(texts):
+            size += len(t)
+            if size >= SLICE or i + 1 == len(texts):
+                out += self._encode_slice(texts[begin : i + 1])
+                begin, size = i + 1, 0
+        return out
+
+    def _encode_slice(self, texts: list[str]) -> list[bytes]:
         chunks = [self.chunks(t) for t in texts]
         need = set()
         for c in chunks:
