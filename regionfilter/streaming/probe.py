@@ -17,8 +17,8 @@ from ..sources.io import shared_folder, stream, table
 
 
 def features(events: DataFrame, n: int = 1) -> DataFrame:
-    """events with elem and seg; values lie about 50."""
-    return events.withColumn("elem", F.col("event_id").cast("string")).withColumn("seg", seg_of(F.col("value") / 200, n))
+    """events with elem and seg, and ts as the timestamp that watermarks need; values lie about 50."""
+    return events.withColumn("ts", F.col("ts").cast("timestamp")).withColumn("elem", F.col("event_id").cast("string")).withColumn("seg", seg_of(F.col("value") / 200, n))
 
 
 def is_key():
@@ -45,7 +45,7 @@ def sessions(probed: DataFrame, gap: str = "30 minutes", late: str = "10 minutes
 
 def fresh_keys(events: DataFrame, late: str = "10 minutes") -> DataFrame:
     """New keys of a stream, each event once within the watermark."""
-    return events.where(is_key()).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
+    return events.where(is_key()).withColumn("ts", F.col("ts").cast("timestamp")).withWatermark("ts", late).dropDuplicatesWithinWatermark(["event_id"])
 
 
 def folding(plan: Plan, folder: str, n: int = 1):
@@ -73,8 +73,8 @@ def drift_of(events: DataFrame, plan: Plan, n: int, length: str = "1 day", late:
 
 def detection_delay(keys: DataFrame, probes: DataFrame, within: str = "1 hour", late: str = "10 minutes") -> DataFrame:
     """Stream-stream join: each probe of a user with the key arrivals of the same user shortly before."""
-    k = keys.select(F.col("user_id").alias("ku"), F.col("ts").alias("kt")).withWatermark("kt", late)
-    p = probes.select("event_id", "user_id", "ts").withWatermark("ts", late)
+    k = keys.select(F.col("user_id").alias("ku"), F.col("ts").cast("timestamp").alias("kt")).withWatermark("kt", late)
+    p = probes.select("event_id", "user_id", F.col("ts").cast("timestamp").alias("ts")).withWatermark("ts", late)
     return p.join(k, F.expr(f"user_id = ku AND kt <= ts AND kt >= ts - INTERVAL {within}")).select("event_id", (F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.col("kt").cast("timestamp"))).alias("delay_us"))
 
 
