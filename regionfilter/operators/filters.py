@@ -234,7 +234,7 @@ def probe_sandwich(df: DataFrame, front: DataFrame, front_plan: Plan, score, cut
     on they are accepted, below it the backup filter decides. Columns as df's, with seg and maybe."""
     asked = probe(df.withColumn("seg", F.lit(0)), front, front_plan).drop("region")
     out = asked.where(~F.col("maybe"))
-    alive = score(asked.where("maybe").drop("maybe", "seg")).withColumn("seg", seg_of(F.col("score"), n_segments)).drop("score")
+    alive = score(asked.where("maybe").drop("maybe", "seg")).withColumn("seg", seg_of(F.col("score"), n_segments))
     above = alive.where(F.col("seg") >= cut).withColumn("maybe", F.lit(True))
     below = probe(alive.where(F.col("seg") < cut), back, back_plan).drop("region")
     columns = [*df.columns, "seg", "maybe"]

@@ -41,13 +41,12 @@ def duck():
 def same(spark, duck):
     """Whether a query's rows and its SQL's are the same."""
 
-    def rows(frame, columns):
-        return sorted((tuple(None if v is None or v != v else str(v) for v in r) for r in frame[columns].values.tolist()), key=str)
-
     def check(df, sql):
-        got, want = df.toPandas(), duck.sql(sql).df()
-        assert sorted(got.columns) == sorted(want.columns)
-        columns = sorted(got.columns)
-        assert rows(got, columns) == rows(want, columns)
+        want = duck.sql(sql)
+        assert sorted(df.columns) == sorted(want.columns)
+        columns = sorted(df.columns)
+        got = [tuple(str(r[c]) for c in columns) for r in df.collect()]
+        at = [want.columns.index(c) for c in columns]
+        assert sorted(got) == sorted(tuple(str(r[i]) for i in at) for r in want.fetchall())
 
     return check
