@@ -58,7 +58,8 @@ def verdicts(docs: DataFrame, keep: str = "largest") -> DataFrame:
 def deduplicate(docs: DataFrame, keep: str = "largest") -> DataFrame:
     """The rows of ``docs`` that stay, with their columns as they are."""
     stay = staged(verdicts(docs, keep).where("kept").select(F.col("doc_id").alias("__stay")), "dedup-stay")
-    kept = docs.join(stay.distinct(), F.col("doc_id").eqNullSafe(F.col("__stay")), "left_semi")
+    # which rows stay grows with the corpus: the join is a shuffle at any size
+    kept = docs.join(stay.distinct().hint("merge"), F.col("doc_id").eqNullSafe(F.col("__stay")), "left_semi")
     if stay.groupBy("__stay").count().where("count > 1").limit(1).count():  # rows that repeat a doc_id: one stays
         kept = kept.dropDuplicates(["doc_id", "text"])
     return kept

@@ -126,7 +126,8 @@ def near_groups(docs: DataFrame, shingle: int = SHINGLE) -> DataFrame:
 def drop_near_copies(docs: DataFrame) -> DataFrame:
     """The rows of docs whose doc_id is the smallest of its group."""
     stay = staged(near_groups(docs).where(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("__stay")).distinct(), "near-stay")
-    return docs.join(stay, F.col("doc_id").eqNullSafe(F.col("__stay")), "left_semi")
+    # which rows stay grows with the corpus: the join is a shuffle at any size
+    return docs.join(stay.hint("merge"), F.col("doc_id").eqNullSafe(F.col("__stay")), "left_semi")
 
 
 def op10_simhash(spark, sf_dir: str) -> DataFrame:
