@@ -24,8 +24,8 @@ from tokenizers import Tokenizer
 TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
 #: characters of the longest chunk that is encoded in one go, and of a leaf of the tree
 LEAF = 2048
-#: chunks remembered by a worker
-CACHE = 300_000
+#: chunks remembered by a worker, in two generations
+CACHE = 500_000
 #: characters of texts that are in chunks at the same time, about
 SLICE = 1 << 20
 CHUNK = re.compile(r"[ \t\n\r\f\v]*[^ \t\n\r\f\v]+|[ \t\n\r\f\v]+")
@@ -46,7 +46,9 @@ class Encoder:
 
     def __init__(self, path: str = TOKENIZER, leaf: int = LEAF, cache: int = CACHE):
         self.library = Tokenizer.from_file(path)
-        self.leaf, self.limit, self.known = leaf, cache, {}
+        self.leaf, self.limit = leaf, cache // 2
+        self.known: dict[str, bytes] = {}
+        self.before: dict[str, bytes] = {}  # the generation before: what of it is met again moves on, the rest goes
         self.special = {t.content: i for i, t in self.library.get_added_tokens_decoder().items()}
         self.special_cut = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         of_char = {c: b for b, c in enumerate(_byte_chars())}
@@ -72,8 +74,11 @@ class Encoder:
         for c in chunks:
             need.update(c)
         if len(self.known) > self.limit:
-            self.known.clear()
+            self.before, self.known = self.known, {}
         need.difference_update(self.known)
+        again = need & self.before.keys()
+        self.known.update((c, self.before[c]) for c in again)
+        need -= again
         if need:
             self._learn(list(need))
         look = self.known.__getitem__
