@@ -32,6 +32,8 @@ CHUNK = re.compile(r"[ \t\n\r\f\v]*[^ \t\n\r\f\v]+|[ \t\n\r\f\v]+")
 #: white space beside the six of ASCII, under any definition: then a cut needs a look at what stands before it
 ODD_SPACE = re.compile(r"[\x1c-\x1f\x85\xa0\u1680\u180e\u2000-\u200b\u2028\u2029\u202f\u205f\u3000\ufeff]")
 STRICT_CUT = re.compile(r"(?<=[^\s\u180e\u200b\ufeff])(?=[ \t\n\r\f\v])")
+#: a chunk of letters and marks: two pre-tokens at most, so that words share their ids whatever marks follow
+PLAIN = re.compile(r"( ?[A-Za-z\u00df-\u00f6\u00f8-\u00ff]+)([.,;:!?]*)")
 LETTER, NUMBER = regex.compile(r"\p{L}"), regex.compile(r"\p{N}")
 
 
@@ -52,6 +54,12 @@ class Encoder:
         self.special = {t.content: i for i, t in self.library.get_added_tokens_decoder().items()}
         self.special_cut = re.compile("(" + "|".join(map(re.escape, sorted(self.special, key=len, reverse=True))) + ")") if self.special else None
         of_char = {c: b for b, c in enumerate(_byte_chars())}
+        self.char_of, self.model = {b: c for c, b in of_char.items()}, self.library.model
+        self.packed_of = [i.to_bytes(4, "little") for i in range(self.library.get_vocab_size())]
+        #: whether the library does nothing but split and merge, so that a pre-token may go to its model at once
+        self.direct = self.library.normalizer is None and all(
+            np.array(self.library.encode(x + y, add_special_tokens=False).ids, dtype="<u4").tobytes() == self._merged(x) + self._merged(y) for x, y in (("word", ""), (" word", ""), (" word", ".,"), ("Été", "!"))
+        )
         size = self.library.get_vocab_size()
         self.bytes_of = [t.encode() if (t := self.library.id_to_token(i)) in self.special else bytes(of_char[c] for c in t) for i in range(size)]
         self.length_of = np.array([len(b) for b in self.bytes_of], dtype=np.int64)
@@ -102,10 +110,26 @@ class Encoder:
             return [c for c in STRICT_CUT.split(text) if c]
         return CHUNK.findall(text)
 
+    def _merged(self, pretoken: str) -> bytes:
+        """The packed ids of one pre-token, by the library's model."""
+        shown = pretoken.encode().decode("latin-1").translate(self.char_of) if not pretoken.isascii() or pretoken[:1] != " " else self.char_of[32] + pretoken[1:]
+        return b"".join([self.packed_of[t.id] for t in self.model.tokenize(shown)])
+
+    def _learn_plain(self, chunk: str, word: str, marks: str) -> None:
+        known = self.known
+        if word not in known:
+            known[word] = self.before.get(word) or self._merged(word)
+        if marks:
+            if marks not in known:
+                known[marks] = self._merged(marks)
+            known[chunk] = known[word] + known[marks]
+
     def _learn(self, chunks: list[str]) -> None:
         joined, alone = [], []
         for c in chunks:
-            if c in self.special:
+            if self.direct and len(c) <= self.leaf and (plain := PLAIN.fullmatch(c)):
+                self._learn_plain(c, *plain.groups())
+            elif c in self.special:
                 self.known[c] = np.array([self.special[c]], dtype="<u4").tobytes()
             elif len(c) > self.leaf:
                 self.known[c] = self._tree(c).astype("<u4").tobytes()
