@@ -35,18 +35,25 @@ SHINGLE, BITS, SEED = 3, 2, 42
 LOW = 0xFFFFFFFF
 
 
-def fingerprint(text: str, shingle: int = SHINGLE) -> int:
-    """64-bit SimHash of a text: a bit is set if more than half of the shingles' hashes have it."""
+def shingle_hashes(text: str, shingle: int = SHINGLE) -> np.ndarray:
+    """The hash of each shingle of a text, in order; none without words."""
     words = text.encode("utf-8", "surrogatepass").lower().split()  # bytes: A-Z only, and the six ASCII spaces
     if not words:
-        return 0
-    if len(words) <= shingle:
-        return xxhash.xxh64_intdigest(b" ".join(words), SEED)
+        return np.empty(0, dtype="<u8")
     joined = b" ".join(words)
+    if len(words) <= shingle:
+        return np.array([xxhash.xxh64_intdigest(joined, SEED)], dtype="<u8")
     ends = np.cumsum([len(w) + 1 for w in words])
     starts = [0, *ends[:-1].tolist()]
     digest = xxhash.xxh64_intdigest
-    hashes = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist())), dtype="<u8")
+    return np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts, (ends[shingle - 1 :] - 1).tolist())), dtype="<u8")
+
+
+def fingerprint(text: str, shingle: int = SHINGLE) -> int:
+    """64-bit SimHash of a text: a bit is set if more than half of the shingles' hashes have it."""
+    hashes = shingle_hashes(text, shingle)
+    if not len(hashes):
+        return 0
     ones = np.zeros(64, dtype=np.int64)
     for i in range(0, len(hashes), 65536):
         ones += np.unpackbits(hashes[i : i + 65536].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
