@@ -1,6 +1,9 @@
 """License scans: normalised text against license templates by the Dice coefficient over word bigrams.
 
-Compared are the whole text, each paragraph and each line of a document. A unit's and a template's bigrams are
+Compared are the whole text, each paragraph and each line of a document; then, for each template with enough of its
+bigrams in the document, runs of consecutive sentences and lines, and windows of the template's own number of words.
+Of runs and windows that overlap, the one of highest Dice stays (of equal ones the longest), unless it overlaps a
+matching unit of the first kind that bears its name or scores as much. A unit's and a template's bigrams are
 sets; Dice is twice the shared ones over the sum of both sizes. It can only reach ``least`` if the sizes lie
 within a factor of (2 - least) / least of each other, so a unit meets only templates in that range, found by
 bisection in the list of templates by size. Each template also has anchor words, without all of which too few of
@@ -12,6 +15,7 @@ texts of one word have no bigrams and match nothing; an empty table gives no row
 
 from __future__ import annotations
 
+import math
 import re
 from bisect import bisect_left, bisect_right
 from collections.abc import Iterator
@@ -59,13 +63,16 @@ class Templates:
     def __init__(self, least: float = LEAST, templates: list[tuple[str, str]] | None = None):
         self.least = least
         given = templates if templates is not None else [(n, t) for n, ts in NOTICES.items() for t in ts] + list(TEXTS.items())
-        self.items = sorted(((len(g), n, g) for n, t in given if (g := bigrams(t))), key=lambda x: (x[0], x[1]))
+        kept = sorted(((len(g), n, g, len(WORD.findall(t.lower()))) for n, t in given if (g := bigrams(t))), key=lambda x: (x[0], x[1]))
+        self.items, self.lengths = [x[:3] for x in kept], [x[3] for x in kept]
         self.sizes = [x[0] for x in self.items]
         self.anchors = frozenset().union(*(self._anchors(g) for _, _, g in self.items))
         self.index: dict[tuple[str, str], list[int]] = {}
         for i, (_, _, g) in enumerate(self.items):
             for b in g:
                 self.index.setdefault(b, []).append(i)
+        #: fewest shared bigrams that can reach ``least``
+        self.needs = [math.ceil(least * n / (2 - least) - 1e-9) for n in self.sizes]
 
     def _anchors(self, grams: set[tuple[str, str]]) -> set[str]:
         """Words of a template, the longest first, until a unit with none of them cannot reach ``least``."""
@@ -112,7 +119,51 @@ class Templates:
             words = WORD.findall(text[begin:end].lower())
             if not self.anchors.isdisjoint(words) and (hit := self.best(set(zip(words, words[1:])))):
                 out.append((*hit, begin, end))
-        return out
+        return out + self._within(text, out)
+
+    def _within(self, text: str, found: list[tuple[float, str, int, int]]) -> list[tuple[float, str, int, int]]:
+        """Matches inside the text whose bounds are no bounds of paragraphs or lines."""
+        at = [(m.start(), m.end()) for m in WORD.finditer(text)]
+        words = [w.lower() for w in WORD.findall(text)]
+        grams = list(zip(words, words[1:]))
+        places: dict[int, list[int]] = {}
+        for p, g in enumerate(grams):
+            for i in self.index.get(g, ()):
+                places.setdefault(i, []).append(p)
+        # the first words of sentences and lines, and the end
+        begins = sorted({bisect_left(at, (m.end(), -1)) for m in re.finditer(r"[.!?:;]+[\s\"')\]]+|\n", text)} | {0, len(words)})
+        hits = set()
+        for i, ps in places.items():
+            size, name, wanted = self.items[i]
+            need, most = self.needs[i], size * (2 - self.least) / self.least + 1e-9
+            if len({grams[p] for p in ps}) < need:
+                continue
+            dice = lambda unit: 2 * len(unit & wanted) / (len(unit) + size)  # noqa: E731, B023
+            length = self.lengths[i]
+            for k, p in enumerate(ps):  # windows of as many words as the template
+                if k + need <= len(ps) and ps[k + need - 1] < p + length - 1:
+                    stop = min(p + length, len(words))
+                    if (d := dice(set(grams[p : stop - 1]))) >= self.least - 1e-12:
+                        hits.add((d, name, p, stop))
+            for k, b in enumerate(begins[:-1]):  # runs of sentences and lines
+                j = bisect_left(ps, b)
+                if j + need > len(ps) or k + 1 < len(begins) and ps[j] >= begins[k + 1]:
+                    continue
+                unit: set[tuple[str, str]] = set()
+                for last, e in zip(begins[k:], begins[k + 1 :]):
+                    unit.update(grams[max(b, last - 1) : e - 1])
+                    if len(unit) > most:
+                        break
+                    if len(unit) >= need and (d := dice(unit)) >= self.least - 1e-12:
+                        hits.add((d, name, b, e))
+        out, taken = [], []
+        for d, name, p, stop in sorted(hits, key=lambda h: (-h[0], h[2] - h[3], h[2], h[1])):
+            begin, end = at[p][0], at[stop - 1][1]
+            if any(begin < e and b < end for b, e in taken) or any(begin < e and b < end and (n == name or x >= d) for x, n, b, e in found):
+                continue
+            taken.append((begin, end))
+            out.append((d, name, begin, end))
+        return sorted(out, key=lambda h: h[2:])
 
 
 def scanned(docs: DataFrame, least: float = LEAST) -> DataFrame:
