@@ -3,7 +3,9 @@
 A page is read once, from left to right, into a sequence of events: texts and tags. Texts score a positive weight
 for each word, tags a negative one; the weights are log-odds counted on labelled pages (``labelled_pages``, a few
 layouts whose content is marked). One linear scan (best sum of neighbours) finds the contiguous stretch of
-highest score, which is the content region. Subtrees that are furniture by their tag, role, class or id (menus,
+highest score, which is the content region. Where one article or main element holds at least as many words as stand
+outside such elements (links left out), words outside score nothing; else the element is a teaser, a comment or empty
+and is no hint. All text of the region that is no furniture is output. Subtrees that are furniture by their tag, role, class or id (menus,
 headers, footers, sidebars, notices, adverts, forms, comments) are one event with one negative score, and their
 words never enter the output, even where they stand inside the region.
 
@@ -75,8 +77,9 @@ def events(page: str) -> list[tuple[str, str]]:
     marks of labelled pages. A '+' before them says that they begin or end a block, '@in' after them that they stand
     in an article or main element."""
     out: list[tuple[str, str]] = []
-    has_article = re.search(r"<(article|main)[\s>]", page, re.I) is not None
     article = links = depth = 0
+    beside: list[int] = []  # texts outside article and main elements
+    words_in, largest, words_out = 0, 0, 0
     inside = kind = ""  # the furniture element that is open, and its kind
     at, size = 0, len(page)
     while at < size:
@@ -86,7 +89,13 @@ def events(page: str) -> list[tuple[str, str]]:
         if tag is None:
             if page[m.start()] != "<" or m.end() == m.start() + 1:
                 if not inside:
-                    out.append(("word" if article else "word:out" if has_article else "word:a" if links else "word", m[0]))
+                    if article:
+                        words_in += len(m[0].split())
+                        largest = max(largest, words_in)
+                    else:
+                        beside.append(len(out))
+                        words_out += 0 if links else len(m[0].split())
+                    out.append(("word:a" if links and not article else "word", m[0]))
             elif m[0] in MARKS:
                 out.append(("mark", ""))
             elif m[0].startswith("<![CDATA[") and not inside:
@@ -123,11 +132,16 @@ def events(page: str) -> list[tuple[str, str]]:
                 continue
         if tag in ("article", "main"):
             article = max(0, article + (-1 if closes else 1))
+            if not article:
+                words_in = 0
         if tag == "a":
             links = 0 if closes else 1
         if tag in BLOCKS:
             links = 0
         out.append((("+tag:" if tag in BLOCKS else "tag:") + tag + ("@in" if article else ""), " " if tag == "br" else ""))
+    if largest and largest >= words_out:  # an article that holds less than the text beside it is a teaser or a comment
+        for i in beside:
+            out[i] = ("word:out", out[i][1])
     return out
 
 
@@ -138,7 +152,7 @@ class Weights:
         all_in, all_out = sum(inside.values()) + 1, sum(outside.values()) + 1
         odds = lambda k: math.log((inside[k] + 0.5) / all_in) - math.log((outside[k] + 0.5) / all_out)
         base = odds("word") - odds("word:out")
-        self.word = {"word": 1.0, "word:a": max(0.1, min(0.8, (odds("word:a") - odds("word:out")) / base)), "word:out": 0.02}
+        self.word = {"word": 1.0, "word:a": max(0.1, min(0.8, (odds("word:a") - odds("word:out")) / base)), "word:out": 0.0}
         self.tag = {k: -min(1.5, max(0.05, (odds("word") - odds(k)) / base)) for k in {*inside, *outside} if k.startswith("tag:") or k.startswith("furniture")}
         unseen = [v for k, v in self.tag.items() if k.endswith("@in")]
         self.other, self.other_in = -0.5, sum(unseen) / len(unseen) if unseen else -0.1
@@ -210,7 +224,7 @@ def extract(page: str | None, weights: Weights | None = None) -> str:
         if kind[0] == "+":
             blocks.append("".join(open_))
             open_ = []
-        if text and kind != "word:out":
+        if text:
             open_.append(html.unescape(text))
     blocks = [" ".join(b.split()) for b in blocks]
     return "\n\n".join(b for b in blocks if b)
