@@ -95,6 +95,11 @@ def build_blocked(keys: DataFrame, plan: Plan, family: str = "xx", sizing: str =
     return words.groupBy("region", "block").agg(F.array(*every).alias("words"))
 
 
+def build_any(keys: DataFrame, plan: Plan) -> DataFrame:
+    """The layout that ``probe`` can read by 'auto' at the plan's size: blocks above BROADCAST_BITS, else words."""
+    return (build_blocked if sum(_sizes(plan, "formula")[0]) > BROADCAST_BITS else build)(keys, plan)
+
+
 def build_bitmap(keys: DataFrame, plan: Plan, family: str = "xx") -> DataFrame:
     """(region, bucket, bitmap): built-in bitmaps of 32768 bits."""
     m, _ = _sizes(plan, "formula")

@@ -1,6 +1,6 @@
 """Probing and building filters on streams.
 
-Probing is stateless: the packed filter is one broadcast row. Counts by window carry a watermark. A stream of new
+Probing is stateless: a filter is a constant, broadcast words or blocks, by its size. Counts by window carry a watermark. A stream of new
 keys is folded into a stored filter batch by batch: bits only ever rise, so repeating a batch after a failure
 changes nothing. Drift compares windowed query histograms with the plan's.
 """
@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..functions.formulas import seg_of
 from ..operators import filters
 from ..plans.planner import Plan
-from ..sources.io import shared_folder, stream, table
+from ..sources.io import shared_folder, staged, stream, table
 
 
 def features(events: DataFrame, n: int = 1) -> DataFrame:
@@ -28,7 +28,7 @@ def is_key():
 
 def probe_stream(events: DataFrame, words: DataFrame, plan: Plan, n: int = 1) -> DataFrame:
     """The stream with maybe; append mode. Late rows are probed like any other."""
-    return filters.probe(features(events, n), words, plan, "array")
+    return filters.probe(features(events, n), words, plan)
 
 
 def windowed(probed: DataFrame, length: str = "1 hour", late: str = "10 minutes", slide: str | None = None) -> DataFrame:
@@ -96,7 +96,7 @@ def run_probe_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     static = table(spark, sf_dir, "events")
     keys = features(static.where(is_key()))
     plan = filters.OneRegion.plan(keys.select("elem").distinct().count(), 0.01, 1)
-    words = filters.build(keys, plan)
+    words = staged(filters.build_any(keys, plan), "words")
     # the table is one file in a folder of others, so the file itself is the glob of the stream
     events = stream(spark, f"{sf_dir}", static.schema, pathGlobFilter="events.parquet")
     counts = probe_stream(events, words, plan).groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("asked"), F.count_if("maybe").alias("yes"))
