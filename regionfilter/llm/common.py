@@ -53,6 +53,19 @@ def digest_of(text: Column) -> Column:
     return F.unhex(F.sha2(text, 256))
 
 
+def keep_rows(docs: DataFrame, stay: DataFrame) -> DataFrame:
+    """The rows of docs that ``stay`` names by (doc_id, sha, again): id, lower-case hex digest of the text, and whether
+    docs has more than one such row, of which one stays. Columns as they are. Which rows stay grows with the corpus, so
+    the join is a shuffle at any size."""
+    sha = F.sha2(whole_text(), 256)
+    match = F.col("doc_id").cast("long").eqNullSafe(F.col("__stay_id")) & (sha == F.col("__stay_sha"))
+    named = lambda rows: docs.join(rows.select(F.col("doc_id").alias("__stay_id"), F.col("sha").alias("__stay_sha")).hint("merge"), match, "left_semi")
+    if not stay.where("again").limit(1).count():
+        return named(stay)
+    once = named(stay.where("again")).withColumn("__sha", sha).dropDuplicates(["doc_id", "__sha"]).drop("__sha")
+    return named(stay.where("not again")).unionByName(once)
+
+
 def distinct_texts(docs: DataFrame) -> DataFrame:
     """(digest, text) with one row for each different text. Copies meet within each input partition first
     (partial aggregation), so a text that makes up a third of all rows is no hot key."""

@@ -36,7 +36,7 @@ def test_same_as_sql(name, spark, sf, same):
 
 
 # ---- exact dedup
-def test_exact_dedup(hard, none):
+def test_exact_dedup(hard, none, spark):
     got = exact_dedup.verdicts(hard).collect()
     assert len(got) == len(HARD) + 2
     by = {r["doc_id"]: r for r in got}
@@ -47,10 +47,27 @@ def test_exact_dedup(hard, none):
     assert kept.columns == hard.columns
     assert sorted(r["doc_id"] for r in kept.where("doc_id is not null").collect()) == [1, 2, 4, *range(5, len(HARD))]
     assert exact_dedup.verdicts(none).count() == 0 and exact_dedup.deduplicate(none).count() == 0
+    twice = spark.createDataFrame([(1, "x"), (1, "y"), (5, "y"), (5, "y"), (7, None), (7, ""), (None, "q"), (None, "q")], "doc_id long, text string")
+    assert sorted((r["doc_id"] or 0, r["text"] or "") for r in exact_dedup.deduplicate(twice).collect()) == [(0, "q"), (1, "x"), (5, "y"), (7, "")]
     small = {r["keep_id"] for r in exact_dedup.verdicts(hard, "smallest").where("doc_id = 4").collect()}
     assert small == {3}
 
 
+def test_runs_are_merged_in_order(spark):
+    """As many rounds as the number of runs asks for; no round has a hash step."""
+    docs = spark.range(3000).select((F.col("id") % 1700).alias("doc_id"), F.concat(F.lit("t"), (F.col("id") % 900).cast("string")).alias("text")).repartition(70)
+    runs = exact_dedup.sorted_runs(docs)
+    level = runs.select(F.col("run").alias("node"), "slice", *exact_dedup.KEY, F.col("doc_id").alias("keep_id"), F.lit(1).cast("long").alias("group_size"))
+    plan = exact_dedup.merge_round(level, "largest", 2)._jdf.queryExecution().executedPlan().toString()
+    assert "SortAggregate" in plan and "HashAggregate" not in plan
+    for keep, best in (("largest", max), ("smallest", min)):
+        got = {r["keep_id"]: r["group_size"] for r in exact_dedup.merge_runs(runs, keep, fan_bits=2).collect()}
+        want = {}
+        for i in range(3000):
+            want.setdefault(i % 900, []).append(i % 1700)
+        assert sorted((best(v), len(v)) for v in want.values()) == sorted((r["keep_id"], r["group_size"]) for r in exact_dedup.merge_runs(runs, keep, fan_bits=2).collect()) and got
+
+
 # ---- encoder
 def test_encoder_against_the_library():
     rng = random.Random(3)
@@ -218,13 +235,16 @@ def test_links_and_chains(spark, crowded):
         assert label[x] == min(groups[find(x)])
 
 
-def test_simhash_edges(hard, none):
+def test_simhash_edges(hard, none, spark, monkeypatch):
     got = {r["doc_id"]: r for r in simhash.near_groups(hard).collect()}
     assert got[0]["fingerprint"] == "0" * 16 and {got[i]["component_id"] for i in (0, 1, 2)} == {0}
     assert got[3]["component_id"] == 3 and got[4]["component_id"] == 3
     assert simhash.near_groups(none).count() == 0
-    kept = simhash.drop_near_copies(hard)
-    assert kept.columns == hard.columns and 1 not in [r["doc_id"] for r in kept.collect()]
+    chain = spark.createDataFrame([(None, "a"), (5, "b"), (9, "c"), (None, "z")], "doc_id long, text string")
+    given = {"a": 1, "b": 3, "c": 15, "z": 255 << 40}
+    monkeypatch.setattr(simhash, "fingerprints", lambda docs, shingle: docs.select("doc_id", F.create_map(*(F.lit(x) for kv in given.items() for x in kv))[F.col("text")].cast("long").alias("fp")))
+    assert sorted((r["doc_id"] or 0, r["component_id"]) for r in simhash.near_groups(chain).where("component_id is not null").collect()) == [(0, 5), (5, 5), (9, 5)]
+    assert simhash.near_groups(chain).where("component_id is null and doc_id is null").count() == 1
 
 
 # ---- top-k
