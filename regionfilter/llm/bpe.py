@@ -1,13 +1,17 @@
-"""Byte-level BPE that gives the tokenizers library's ids, faster on long and on repeated text.
-
-Three facts about the pre-tokenizer's pattern carry this module. No alternative of it takes a character that is
-not white space followed by one that is, so a text may be cut there and the parts encoded alone ("chunks": white
-space and the word after it). Strings of special tokens are taken out before anything else. Inside one pre-token,
-a sequence of tokens is the BPE encoding as soon as each neighbouring pair of it lies in some valid encoding.
-
-Chunks are looked up in a bounded cache and the missing ones encoded by the library many at a time. A chunk too
-long for that (text without white space) is encoded as a tree: leaves in parallel by the library, then each join
-is repaired by re-encoding a window that grows around it until it agrees with both sides on a whole token.
+"""Byte-level BPE that gives the tokenizers library's ids, by tree concatenation and faster on repeated text.
+
+``encode_trees`` halves a long text, wherever the middle falls, until its parts are ``leaf`` characters at most. The
+leaves know nothing of each other and are encoded together, in parallel as far as the caller likes. Then neighbours
+are joined level by level: a window of tokens around each join is encoded anew, and grows until it agrees with both
+sides on the tokens at its ends, so that what lies beyond stands. Three facts about the pre-tokenizer's pattern carry
+this. No alternative of it takes a character that is not white space followed by one that is, so a window may begin or
+end there ("chunks": white space and the word after it). Inside one pre-token, a sequence of tokens is the BPE encoding
+as soon as each neighbouring pair of it lies in some valid encoding, so a window may also begin or end between two
+characters of a kind. Strings of special tokens are taken out before anything else.
+
+Short parts are encoded by chunks, which are looked up in a bounded cache; the missing ones go to the library many at
+a time. ``encode_many`` does this with whole texts, for operators that only need ids, and grows a tree where a text has
+no white space for longer than a leaf.
 """
 
 from __future__ import annotations
@@ -22,8 +26,8 @@ import regex
 from tokenizers import Tokenizer
 
 TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
-#: characters of the longest chunk that is encoded in one go, and of a leaf of the tree
-LEAF = 2048
+#: most characters of a leaf of the tree
+LEAF = 1024
 #: chunks remembered by a worker, in two generations
 CACHE = 500_000
 #: characters of texts that are in chunks at the same time, about
@@ -83,8 +87,8 @@ class Encoder:
             need.update(c)
         if len(self.known) > self.limit:
             self.before, self.known = self.known, {}
-        need.difference_update(self.known)
-        again = need & self.before.keys()
+        need = {c for c in need if c not in self.known}
+        again = {c for c in need if c in self.before}
         self.known.update((c, self.before[c]) for c in again)
         need -= again
         if need:
@@ -92,6 +96,23 @@ class Encoder:
         look = self.known.__getitem__
         return [b"".join(map(look, c)) for c in chunks]
 
+    def encode_trees(self, texts: list[str]) -> list[tuple[bytes, int]]:
+        """(ids, joins) of each text, by the tree."""
+        return [self.encode_tree(t) for t in texts]
+
+    def encode_tree(self, text: str) -> tuple[bytes, int]:
+        """The ids of a text, and how many joins were made."""
+        parts = [p for p in self.special_cut.split(text) if p] if self.special_cut and any(s in text for s in self.special) else [text]
+        ids, joins = [], 0
+        for p in parts:
+            if p in self.special or len(p) <= self.leaf:
+                ids.append(self.encode_many([p])[0])
+            else:
+                whole, made = self._tree(p)
+                ids.append(whole.astype("<u4").tobytes())
+                joins += made
+        return b"".join(ids), joins
+
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_many([text])[0], dtype="<u4").tolist()
 
@@ -132,7 +153,7 @@ class Encoder:
             elif c in self.special:
                 self.known[c] = np.array([self.special[c]], dtype="<u4").tobytes()
             elif len(c) > self.leaf:
-                self.known[c] = self._tree(c).astype("<u4").tobytes()
+                self.known[c] = self._tree(c)[0].astype("<u4").tobytes()
             elif c[0] in " \t\n\r\f\v" and not c[-1].isspace() and not ODD_SPACE.search(c):
                 joined.append(c)  # cuts before and after it hold in any company of its kind
             else:
@@ -151,42 +172,60 @@ class Encoder:
             self.known[c] = ids[start:end].tobytes()
             start = end
 
-    def _tree(self, run: str) -> np.ndarray:
-        """The ids of a long run: leaves in parallel, then joins level by level."""
-        leaves = [run[i : i + self.leaf] for i in range(0, len(run), self.leaf)]
-        level = [(t.encode(), np.array(e.ids, dtype=np.int64)) for t, e in zip(leaves, self.library.encode_batch_fast(leaves, add_special_tokens=False), strict=True)]
+    def _tree(self, run: str) -> tuple[np.ndarray, int]:
+        """The ids of a text without special strings: leaves first, all together, then joins level by level."""
+        cuts = [0, len(run)]
+        while cuts[1] - cuts[0] > self.leaf:  # halves of halves
+            cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
+        leaves = [run[a:b] for a, b in zip(cuts, cuts[1:])]
+        data, at, ends = run.encode(), 0, []
+        for t in leaves:
+            at += len(t.encode())
+            ends.append(at)
+        level, joins = [(self._leaf(t), end) for t, end in zip(leaves, ends)], 0
         while len(level) > 1:
-            level = [self._join(*level[i], *level[i + 1]) if i + 1 < len(level) else level[i] for i in range(0, len(level), 2)]
-        return level[0][1]
-
-    def _join(self, left: bytes, a: np.ndarray, right: bytes, b: np.ndarray) -> tuple[bytes, np.ndarray]:
-        whole = left + right
-        starts = np.cumsum(self.length_of[a]) - self.length_of[a]
-        ends = np.cumsum(self.length_of[b])
-        width = 8
+            joins += len(level) // 2
+            level = [(self._join(data, level[i][0], level[i][1], level[i + 1][0]), level[i + 1][1]) if i + 1 < len(level) else level[i] for i in range(0, len(level), 2)]
+        return level[0][0], joins
+
+    def _leaf(self, text: str) -> np.ndarray:
+        """The ids of a leaf or a window: by chunks, unless one chunk of it is longer than a leaf."""
+        chunks = self.chunks(text)
+        if max(map(len, chunks)) < self.leaf:
+            return np.frombuffer(self._encode_slice([text])[0], dtype="<u4")
+        return np.array(self.library.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
+
+    def _join(self, data: bytes, a: np.ndarray, middle: int, b: np.ndarray) -> np.ndarray:
+        """The ids of two neighbouring parts of data that meet at ``middle``."""
+        width, size = 4, self.length_of
         while True:
             i, j = max(0, len(a) - width), min(len(b), width)
-            while i > 0 and not _edge(whole, int(starts[i])):
+            begin, end = middle - int(size[a[i:]].sum()), middle + int(size[b[:j]].sum())
+            while i > 0 and not _edge(data, begin):
                 i -= 1
-            while j < len(b) and not _edge(whole, len(left) + int(ends[j - 1])):
+                begin -= int(size[a[i]])
+            while j < len(b) and not _edge(data, end):
+                end += int(size[b[j]])
                 j += 1
-            window = whole[int(starts[i]) : len(left) + int(ends[j - 1])].decode()
-            ids = np.array(self.library.encode_batch_fast([window], add_special_tokens=False)[0].ids, dtype=np.int64)
-            whole_window = i == 0 and j == len(b)
-            if whole_window or len(ids) > 1 and (i == 0 or ids[0] == a[i]) and (j == len(b) or ids[-1] == b[j - 1]):
-                return whole, np.concatenate([a[:i], ids, b[j:]])
+            ids = self._leaf(data[begin:end].decode())
+            whole = i == 0 and j == len(b)
+            if whole or len(ids) > 1 and (i == 0 or ids[0] == a[i]) and (j == len(b) or ids[-1] == b[j - 1]):
+                return np.concatenate([a[:i], ids, b[j:]])
             width *= 2
 
 
-def _edge(whole: bytes, at: int) -> bool:
-    """Whether a window may begin or end at this byte: inside one kind of characters, where the split into pre-tokens
-    does not depend on what stands further away."""
-    if at >= len(whole) or whole[at] & 0xC0 == 0x80:
+def _edge(data: bytes, at: int) -> bool:
+    """Whether a window may begin or end at this byte: before white space that follows something else, or inside one
+    kind of characters, where the split into pre-tokens does not depend on what stands further away."""
+    if at >= len(data) or data[at] & 0xC0 == 0x80:
+        return False
+    before = data[max(0, at - 4) : at].decode("utf-8", "ignore")[-1:]
+    after = data[at : at + 4].decode("utf-8", "ignore")[:1]
+    if not before or not after or before.isspace() or ODD_SPACE.search(before + after):
         return False
-    near = whole[max(0, at - 16) : at + 16].decode("utf-8", "ignore")
-    before = whole[max(0, at - 4) : at].decode("utf-8", "ignore")[-1:]
-    after = whole[at : at + 4].decode("utf-8", "ignore")[:1]
-    if not before or not after or "'" in near or before.isspace() or after.isspace() or ODD_SPACE.search(before + after):
+    if after in " \t\n\r\f\v":
+        return True
+    if after.isspace() or b"'" in data[max(0, at - 16) : at + 16]:
         return False
     kinds = [1 if LETTER.match(c) else 2 if NUMBER.match(c) else 3 for c in (before, after)]
     return kinds[0] == kinds[1]

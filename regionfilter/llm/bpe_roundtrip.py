@@ -25,7 +25,7 @@ def encode_texts(texts: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(tokenizer)
         for b in batches:
-            ids = [np.frombuffer(x, dtype="<i4") for x in enc.encode_many(b.column("text").to_pylist())]
+            ids = [np.frombuffer(x, dtype="<i4") for x, _ in enc.encode_trees(b.column("text").to_pylist())]
             yield pa.RecordBatch.from_arrays([b.column("digest"), pa.array(ids, pa.list_(pa.int32()))], ["digest", "ids"])
 
     return texts.mapInArrow(run, "digest binary, ids array<int>")
@@ -43,21 +43,22 @@ def decode_ids(rows: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
 
 
 def roundtrip_digests(docs: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
-    """doc_id, n_tokens, ids_sha256, decoded_sha256. Ids and decoded text stay in the worker; only digests leave it."""
+    """doc_id, n_tokens, ids_sha256, decoded_sha256, n_joins (how many joins the text's tree made). Ids and decoded text stay in the worker; only digests leave it."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(tokenizer)
         for b in batches:
-            out = [[], [], []]
-            for packed in enc.encode_many(b.column("text").to_pylist()):
+            out = [[], [], [], []]
+            for packed, joins in enc.encode_trees(b.column("text").to_pylist()):
+                out[3].append(joins)
                 ids = np.frombuffer(packed, dtype="<u4").tolist()
                 out[0].append(len(ids))
                 out[1].append(hashlib.sha256(",".join(map(enc.decimal_of.__getitem__, ids)).encode()).hexdigest())
                 out[2].append(hashlib.sha256(enc.decode(ids).encode()).hexdigest())
-            yield pa.RecordBatch.from_arrays([b.column("digest"), pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.string())], ["digest", "n_tokens", "ids_sha256", "decoded_sha256"])
+            yield pa.RecordBatch.from_arrays([b.column("digest"), pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.string()), pa.array(out[3], pa.int64())], ["digest", "n_tokens", "ids_sha256", "decoded_sha256", "n_joins"])
 
-    coded = staged(distinct_texts(docs).mapInArrow(run, "digest binary, n_tokens long, ids_sha256 string, decoded_sha256 string"), "roundtrip")
-    return docs.select("doc_id", digest_of(whole_text()).alias("digest")).join(coded, "digest").select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256")
+    coded = staged(distinct_texts(docs).mapInArrow(run, "digest binary, n_tokens long, ids_sha256 string, decoded_sha256 string, n_joins long"), "roundtrip")
+    return docs.select("doc_id", digest_of(whole_text()).alias("digest")).join(coded, "digest").select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "n_joins")
 
 
 def op7_bpe_roundtrip(spark, sf_dir: str) -> DataFrame:

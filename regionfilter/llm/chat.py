@@ -117,7 +117,7 @@ class TemplateError(ValueError):
     """A template that the language does not allow."""
 
 
-PARTS = re.compile(r"\{\{(.*?)\}\}|\{%-?(.*?)-?%\}", re.S)
+PARTS = re.compile(r"\{(?:\{(-?)(.*?)(-?)\}|%(-?)(.*?)(-?)%)\}", re.S)
 TOKEN = re.compile(r"\s*(?:('(?:[^'\\]|\\.)*'|\"(?:[^\"\\]|\\.)*\")|(\d+)|([A-Za-z_]\w*)|(==|!=|[-+|.()\[\]]))")
 WORDS = {"not", "and", "or", "true", "false", "none"}
 
@@ -224,14 +224,20 @@ def _whole_expression(source: str):
 
 def parse(template: str) -> tuple:
     """The syntax tree of a template."""
-    parts, last = [], 0
+    parts, last, trim = [], 0, False
+
+    def text(end: int, trim_end: bool) -> None:
+        between = template[last:end]
+        between = between.lstrip() if trim else between
+        between = between.rstrip() if trim_end else between
+        if between:
+            parts.append(("text", between))
+
     for m in PARTS.finditer(template):
-        if m.start() > last:
-            parts.append(("text", template[last : m.start()]))
-        parts.append(("out", m[1]) if m[1] is not None else ("tag", m[2].strip()))
-        last = m.end()
-    if last < len(template):
-        parts.append(("text", template[last:]))
+        text(m.start(), bool(m[1] or m[4]))  # a dash beside a bracket takes the white space on its side
+        parts.append(("out", m[2]) if m[2] is not None else ("tag", m[5].strip()))
+        last, trim = m.end(), bool(m[3] or m[6])
+    text(len(template), False)
     body, at = _body(parts, 0, ())
     if at != len(parts):
         raise TemplateError(f"unexpected tag {parts[at][1]!r}")
@@ -499,10 +505,17 @@ def formatted(conversations: DataFrame, template: str = TEMPLATE) -> DataFrame:
     """(conv_id, part, text, loss): the formatted conversations in pieces, in order of part."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        code = compile_template(template)
+        code, rows, held = compile_template(template), [], 0
+        kinds = pa.schema([("conv_id", pa.int64()), ("part", pa.int64()), ("text", pa.string()), ("loss", pa.bool_())])
         for conv, messages in _streams(batches):
             for part, (text, loss) in enumerate(code(messages=messages)):
-                yield pa.RecordBatch.from_pylist([{"conv_id": conv, "part": part, "text": text, "loss": loss}], schema=pa.schema([("conv_id", pa.int64()), ("part", pa.int64()), ("text", pa.string()), ("loss", pa.bool_())]))
+                rows.append({"conv_id": conv, "part": part, "text": text, "loss": loss})
+                held += len(text)
+                if len(rows) == 4096 or held > 1 << 22:
+                    yield pa.RecordBatch.from_pylist(rows, schema=kinds)
+                    rows, held = [], 0
+        if rows:
+            yield pa.RecordBatch.from_pylist(rows, schema=kinds)
 
     return in_turn_order(conversations).mapInArrow(run, "conv_id long, part long, text string, loss boolean")
 

@@ -1,18 +1,22 @@
 """Exact top-k search by distributed histogram selection.
 
-Vectors become integers (floor(scale * x)), so scores are integers in a range known from the largest norms.
-Queries and candidates are packed into blocks of bounded size and every pair of blocks is scored as one matrix
-product. Each pass histograms the scores of every query over its current range; the histograms of all blocks are
-added, the bin that holds the k-th best score becomes the next range, until a bin is one score wide: that is the
-k-th value. A last scoring keeps what reaches it and takes the smallest ids among equal scores.
-
-A block's histogram is cut below the block's own k-th score: the k-th best of all is never less, so the bins cut
-off cannot hold it. For the same reason a block sends its k smallest ids of a score only. Nothing here grows
-with a group of equal vectors, and neither queries nor candidates are broadcast.
+Vectors become integers (floor(scale * x)), so scores are integers in a range known from the largest norms. Candidates
+are written once and stay where they are: no pass moves them. Queries come to them in groups of a bounded size, and
+for each group every task scores its own candidates, one batch of them at a time, as a matrix product. Each pass
+histograms the scores of every query over its current range; the histograms of all tasks are added, the bin that holds
+the k-th best score becomes the next range, until a bin is one score wide: that is the k-th value. A last scoring
+keeps what reaches it and takes the smallest ids among equal scores.
+
+A task's histogram is cut below the task's own k-th score: the k-th best of all is never less, so the bins cut off
+cannot hold it. For the same reason a task sends its k smallest ids of a score only. So what is shuffled grows with
+tasks and queries, not with their product with candidates, and nothing grows with a group of equal vectors. The
+candidates are read four times (for the usual range) for each group; the work is candidates times queries, as it must
+be for exact answers.
 
 Defined results: vectors that are null, or hold a null or non-finite component, take no part; vectors of another
 length than a query's score over the components both have; rows that repeat a vec_id are one candidate each and
-rank by (score, id); a query never meets rows with its own id; fewer than k candidates give them all; an empty
+rank by (score, id); of query rows that repeat an id and its vector one asks, and the answers to an id's different
+vectors are ranked together; a query never meets rows with its own id; fewer than k candidates give them all; an empty
 table gives no rows; other columns are ignored.
 """
 
@@ -26,9 +30,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import staged, table
+from .common import shared_folder, staged, table
 
-BLOCK, QUERY_BLOCK, BINS = 2048, 512, 1024
+#: most queries of a group, most bytes of their vectors, bins of a histogram, candidates scored at once
+GROUP, GROUP_BYTES, BINS, BATCH = 1024, 1 << 25, 1024, 2048
 
 
 def usable(vectors: DataFrame, scale: int = 256) -> DataFrame:
@@ -39,139 +44,123 @@ def usable(vectors: DataFrame, scale: int = 256) -> DataFrame:
     return rows.withColumn("norm", F.aggregate("v", F.lit(0.0), lambda s, x: s + x.cast("double") * x.cast("double")))
 
 
-def _packed(rows: DataFrame, blocks: int, name: str) -> DataFrame:
-    """Blocks (block, ids, data, width) with the vectors as one binary each; rows keep their order by id."""
-
-    def pack(t: pa.Table) -> pa.Table:
-        t = t.sort_by("vec_id")
-        v = t.column("v").to_pylist()
-        width = max(map(len, v), default=0)
-        m = np.zeros((len(v), width), dtype="<f8")
-        for i, x in enumerate(v):
-            m[i, : len(x)] = x
-        ids = np.array(t.column("vec_id").to_pylist(), dtype="<i8")
-        return pa.table({"block": t.column("block").slice(0, 1), "ids": [ids.tobytes()], "data": [m.tobytes()], "width": pa.array([width], pa.int64())})
-
-    rows = rows.withColumn("block", F.pmod(F.xxhash64("vec_id", "v"), F.lit(blocks)).cast("long")).select("block", "vec_id", "v")
-    return staged(rows.groupBy("block").applyInArrow(pack, "block long, ids binary, data binary, width long"), name)
-
-
-class Search:
-    """Blocks of the candidates and queries of one table."""
-
-    def __init__(self, vectors: DataFrame, is_query, k: int, scale: int = 256):
-        self.k, self.spark = k, vectors.sparkSession
-        rows = staged(usable(vectors, scale).withColumn("query", is_query), "vectors")
-        all_, asked, norm, query_norm = rows.agg(F.count("*"), F.count_if("query"), F.max("norm"), F.max(F.when(F.col("query"), F.col("norm")))).first()
-        self.empty = not asked
-        if self.empty:
-            return
-        #: no score lies outside -reach..reach
-        self.reach = math.isqrt(int(norm) + 1) * math.isqrt(int(query_norm) + 1) + math.isqrt(int(norm) + 1) + math.isqrt(int(query_norm) + 1) + 1
-        if self.reach >= 1 << 52:
-            raise ValueError("scores do not fit doubles exactly")
-        self.blocks, self.query_blocks = -(-all_ // BLOCK), -(-asked // QUERY_BLOCK)
-        self.candidates = _packed(rows, self.blocks, "candidate-blocks")
-        self.queries = _packed(rows.where("query"), self.query_blocks, "query-blocks")
-        self.ids = rows.where("query").select(F.col("vec_id").alias("query_id")).distinct()
-
-    def _pairs(self, ranges: DataFrame) -> DataFrame:
-        """Every pair of a query block (with its queries' ranges) and a candidate block, once."""
-        n = self.blocks * self.query_blocks
-        tasks = max(1, min(n, -(-n // 4)))
-        c = self.candidates.select(F.explode(F.sequence(F.lit(0).cast("long"), F.lit(self.query_blocks - 1).cast("long"))).alias("qb"), F.col("block").alias("cb"), F.col("ids").alias("cids"), F.col("data").alias("cdata"), F.col("width").alias("cwidth"))
-        q = self.queries.join(ranges, "block", "left").select(F.col("block").alias("qb"), F.explode(F.sequence(F.lit(0).cast("long"), F.lit(self.blocks - 1).cast("long"))).alias("cb"), F.col("ids").alias("qids"), F.col("data").alias("qdata"), F.col("width").alias("qwidth"), "ranges")
-        return c.repartition(tasks, "qb", "cb").join(q.repartition(tasks, "qb", "cb"), ["qb", "cb"])
-
-    def _by_block(self, state: DataFrame) -> DataFrame:
-        """(block, ranges): the queries' state rows beside their block."""
-        owner = self.queries.select("block", "ids").mapInArrow(_unpacked_ids, "block long, query_id long").distinct()
-        return owner.join(state, "query_id").groupBy("block").agg(F.collect_list(F.struct("query_id", "low", "width")).alias("ranges"))  # a block of queries at most
-
-    def _scored(self, ranges: DataFrame, use, schema: str) -> DataFrame:
+def matrix(v: pa.Array, width: int) -> np.ndarray:
+    """Lists of numbers as rows of ``width`` columns; what is missing is 0, what is more is cut."""
+    sizes, flat = np.diff(v.offsets.to_numpy()), v.flatten().to_numpy(zero_copy_only=False)
+    if len(sizes) and (sizes == width).all():
+        return flat.reshape(-1, width).astype("<f8")
+    out, at = np.zeros((len(sizes), width)), 0
+    for i, n in enumerate(sizes.tolist()):
+        out[i, : min(n, width)] = flat[at : at + min(n, width)]
+        at += n
+    return out
+
+
+class Group:
+    """Some queries: ids, vectors as rows, and the range of scores in which each one's k-th best lies."""
+
+    def __init__(self, ids: np.ndarray, vectors: np.ndarray, k: int, reach: int):
+        self.ids, self.vectors, self.k = ids, vectors, k
+        self.span = 2 * reach + 1
+        self.low, self.above = np.full(len(ids), -reach, dtype=np.int64), np.zeros(len(ids), dtype=np.int64)
+        self.any = np.ones(len(ids), dtype=bool)  # whether a query has candidates at all
+
+    def scored(self, batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """(ids, scores) of candidates, a row of scores for each query; its own id scores below all others."""
+        for whole in batches:
+            for at in range(0, whole.num_rows, BATCH):
+                b = whole.slice(at, BATCH)
+                ids = b.column("vec_id").to_numpy()
+                scores = (self.vectors @ matrix(b.column("v"), self.vectors.shape[1]).T).astype(np.int64)
+                scores[self.ids[:, None] == ids[None, :]] = np.iinfo(np.int64).min
+                yield ids, scores
+
+    def bins(self, width: int):
+        """A function of batches that yields (q, bin, n): the task's histograms down to its own k-th score."""
+
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in batches:
-                for i in range(b.num_rows):
-                    r = b.slice(i, 1).to_pylist()[0]
-                    qids, cids = np.frombuffer(r["qids"], "<i8"), np.frombuffer(r["cids"], "<i8")
-                    q, c = np.frombuffer(r["qdata"], "<f8").reshape(len(qids), -1), np.frombuffer(r["cdata"], "<f8").reshape(len(cids), -1)
-                    w = min(q.shape[1], c.shape[1])
-                    state = {x["query_id"]: (x["low"], x["width"]) for x in r["ranges"] or ()}
-                    scores = (q[:, :w] @ c[:, :w].T).astype(np.int64)
-                    out = use(qids, cids, scores, state)
-                    if len(out[0]):
-                        yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], [f.split()[0] for f in schema.split(", ")])
-
-        return self._pairs(ranges).mapInArrow(run, schema)
-
-    def kth_values(self) -> DataFrame:
-        """(query_id, low): each query's k-th best score (its least, if it has fewer candidates)."""
-        k = self.k
-        span = 2 * self.reach + 1  # of the range that is split into bins
-        width = -(-span // BINS)
-        # low: least score of the range; above: how many scores lie above the range
-        state = self.ids.select("query_id", F.lit(-self.reach).cast("long").alias("low"), F.lit(width).cast("long").alias("width"), F.lit(0).cast("long").alias("above"))
+            counts, rows = np.zeros((len(self.ids), BINS), dtype=np.int64), np.arange(len(self.ids))[:, None] * BINS
+            for _, scores in self.scored(batches):
+                inside = (scores >= self.low[:, None]) & (scores < self.low[:, None] + self.span)
+                at = (rows + (scores - self.low[:, None]) // width)[inside]
+                counts += np.bincount(at, minlength=counts.size).reshape(counts.shape)
+            over = np.cumsum(counts[:, ::-1], axis=1)[:, ::-1] - counts  # in higher bins
+            q, b = np.nonzero((counts > 0) & (over < self.k))
+            yield pa.RecordBatch.from_arrays([pa.array(q, pa.int64()), pa.array(b, pa.int64()), pa.array(counts[q, b], pa.int64())], ["q", "bin", "n"])
+
+        return run
+
+    def narrow(self, candidates: DataFrame) -> None:
+        """Passes over the candidates until ``low`` is each query's k-th best score, or its least if it has fewer."""
+        down = Window.partitionBy("q").orderBy(F.desc("bin"))  # BINS rows of a query at most
         while True:
-
-            def count(qids, cids, scores, state, span=span):
-                out = [], [], []
-                for i, q in enumerate(qids.tolist()):
-                    low, width = state[q]
-                    s = scores[i][cids != q]
-                    bins = (s[(s >= low) & (s < low + span)] - low) // width
-                    if len(bins) > k:  # what lies below this block's own k-th score cannot hold the k-th of all
-                        bins = bins[bins >= np.partition(bins, len(bins) - k)[len(bins) - k]]
-                    values, n = np.unique(bins, return_counts=True)
-                    out[0].extend([q] * len(values))
-                    out[1].extend(values.tolist())
-                    out[2].extend(n.tolist())
-                return out
-
-            found = self._scored(self._by_block(state), count, "query_id long, bin long, n long").groupBy("query_id", "bin").agg(F.sum("n").alias("n"))
-            down = Window.partitionBy("query_id").orderBy(F.desc("bin"))  # BINS rows of a query at most
-            found = found.join(state, "query_id").withColumn("upto", F.sum("n").over(down) + F.col("above"))
-            least = F.min(F.when(F.col("upto") >= k, F.struct(-F.col("bin"), (F.col("upto") - F.col("n")).alias("over")))).alias("hit")
-            lowest = F.max(F.struct(-F.col("bin"), (F.col("upto") - F.col("n")).alias("over"))).alias("last")
-            hit = found.groupBy("query_id", "low", "width").agg(least, lowest).select("query_id", "low", "width", F.coalesce("hit", "last").alias("h"))
-            step = -(-width // BINS)
-            state = staged(hit.select("query_id", (F.col("low") - F.col("h.col1") * F.col("width")).alias("low"), F.lit(step).cast("long").alias("width"), F.col("h.over").alias("above")), "ranges")
+            width = -(-self.span // BINS)
+            found = candidates.mapInArrow(self.bins(width), "q long, bin long, n long").groupBy("q", "bin").agg(F.sum("n").alias("n"))
+            before = F.lit(self.above.tolist()) if len(self.ids) else F.array()
+            found = found.withColumn("upto", F.sum("n").over(down) + F.get(before, F.col("q").cast("int")))
+            over = F.col("upto") - F.col("n")
+            hit = F.min(F.when(F.col("upto") >= self.k, F.struct(-F.col("bin"), over.alias("over")))).alias("hit")
+            last = F.max(F.struct(-F.col("bin"), over.alias("over"))).alias("last")
+            got = found.groupBy("q").agg(hit, last).select("q", F.coalesce("hit", "last").alias("h")).select("q", (-F.col("h.col1")).alias("bin"), "h.over").collect()  # a row for each query of the group
+            self.any[:] = False
+            for r in got:
+                self.any[r["q"]], self.above[r["q"]] = True, r["over"]
+                self.low[r["q"]] += r["bin"] * width
+            self.span = width
             if width == 1:
-                return state.select("query_id", "low", "width")
-            span, width = width, step
-
-    def results(self) -> DataFrame:
-        """(query_id, rank, vec_id, score)."""
-        schema = "query_id long, vec_id long, score long"
-        if self.empty:
-            return self.spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
-        k = self.k
-
-        def take(qids, cids, scores, state):
-            out = [], [], []
-            for i, q in enumerate(qids.tolist()):
-                if q not in state:
-                    continue
-                at = np.flatnonzero((scores[i] >= state[q][0]) & (cids != q))
-                at = at[np.lexsort((cids[at], -scores[i][at]))][:k]
-                out[0].extend([q] * len(at))
-                out[1].extend(cids[at].tolist())
-                out[2].extend(scores[i][at].tolist())
-            return out
+                return
 
-        hits = self._scored(self._by_block(self.kth_values()), take, schema)
-        order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-        return hits.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
+    def best(self):
+        """A function of batches that yields the task's k best (query_id, vec_id, score) of what reaches ``low``."""
+        k = self.k
 
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            held = [(np.empty(0, np.int64), np.empty(0, np.int64))] * len(self.ids)
+            for ids, scores in self.scored(batches):
+                reaches = scores >= self.low[:, None]
+                for i in np.flatnonzero(reaches.any(axis=1) & self.any).tolist():
+                    c, s = np.concatenate([held[i][0], ids[reaches[i]]]), np.concatenate([held[i][1], scores[i][reaches[i]]])
+                    first = np.lexsort((c, -s))[:k]
+                    held[i] = c[first], s[first]
+            sizes = [len(c) for c, _ in held]
+            out = [np.repeat(self.ids, sizes), np.concatenate([c for c, _ in held]), np.concatenate([s for _, s in held])]
+            yield pa.RecordBatch.from_arrays([pa.array(x, pa.int64()) for x in out], ["query_id", "vec_id", "score"])
 
-def _unpacked_ids(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for b in batches:
-        for block, ids in zip(b.column("block").to_pylist(), b.column("ids").to_pylist()):
-            n = np.frombuffer(ids, "<i8")
-            yield pa.RecordBatch.from_arrays([pa.array([block] * len(n), pa.int64()), pa.array(n, pa.int64())], ["block", "query_id"])
+        return run
 
 
 def top_k(vectors: DataFrame, is_query, k: int = 5, scale: int = 256) -> DataFrame:
-    return Search(vectors, is_query, k, scale).results()
+    """(query_id, rank, vec_id, score) of the rows for which ``is_query`` holds."""
+    spark, schema = vectors.sparkSession, "query_id long, vec_id long, score long"
+    rows = staged(usable(vectors, scale).withColumn("query", is_query), "vectors")
+    norm, query_norm, width = rows.agg(F.max("norm"), F.max(F.when(F.col("query"), F.col("norm"))), F.max(F.when(F.col("query"), F.size("v")))).first()
+    if query_norm is None:
+        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    #: no score lies outside -reach..reach
+    reach = math.isqrt(int(norm) + 1) * math.isqrt(int(query_norm) + 1) + math.isqrt(int(norm) + 1) + math.isqrt(int(query_norm) + 1) + 1
+    if reach >= 1 << 52:
+        raise ValueError("scores do not fit doubles exactly")
+    most = max(1, min(GROUP, GROUP_BYTES // (8 * max(1, width))))
+    asked, candidates = staged(rows.where("query").select("vec_id", "v").distinct(), "queries"), rows.select("vec_id", "v")
+    groups = -(-asked.count() * 5 // (4 * most))
+    while True:  # groups by hash, as many as it takes for none to pass the bound
+        dealt = asked.withColumn("grp", F.pmod(F.xxhash64("vec_id", "v"), F.lit(groups)))
+        if groups <= 1 and asked.count() <= most or dealt.groupBy("grp").count().agg(F.max("count")).first()[0] <= most:
+            break
+        groups *= 2
+    at, out = f"{shared_folder(spark, 'query-groups')}/g", f"{shared_folder(spark, 'hits')}/h"
+    dealt.repartition("grp").write.partitionBy("grp").parquet(at)
+    dealt = spark.read.schema("vec_id long, v array<long>, grp long").parquet(at)
+    for g in range(groups):
+        got = dealt.where(F.col("grp") == g).select("vec_id", "v").toArrow()  # ``most`` rows at most
+        if not got.num_rows:
+            continue
+        got = got.combine_chunks()
+        group = Group(got.column("vec_id").to_numpy(), matrix(got.column("v").chunk(0), max(1, width)), k, reach)
+        group.narrow(candidates)
+        candidates.mapInArrow(group.best(), schema).write.mode("append").parquet(out)
+    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    return spark.read.schema(schema).parquet(out).withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
 
 def op2_topk(spark, sf_dir: str) -> DataFrame:

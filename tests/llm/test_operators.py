@@ -77,6 +77,7 @@ def test_encoder_against_the_library():
     for i in range(1500):
         s = "".join(rng.choice(parts if i % 2 else solid) for _ in range(rng.randint(0, 80)))
         assert enc.encode(s) == LIBRARY.encode(s, add_special_tokens=False).ids, repr(s)
+        assert np.frombuffer(enc.encode_tree(s)[0], dtype="<u4").tolist() == enc.encode(s), repr(s)
         assert enc.decode(enc.encode(s)) == s
 
 
@@ -84,6 +85,39 @@ def test_long_text_without_spaces():
     enc = bpe.Encoder(leaf=256)
     for s in ("a" * 5000, "abcdefghij" * 900, "日本語" * 1500, "0123456789" * 500, "-=" * 3000):
         assert enc.encode(s) == LIBRARY.encode(s, add_special_tokens=False).ids
+        assert enc.encode_tree(s)[1] >= len(s) // 256
+
+
+@pytest.mark.parametrize("leaf", [64, 1024])
+def test_whole_documents_go_through_the_tree(spark, sf, leaf):
+    """Every text of the given table, whole, by the tree and by the library alone."""
+    texts = [r["text"] or "" for r in table(spark, sf, "documents").collect()]
+    enc, joins = bpe.Encoder(leaf=leaf), 0
+    for t, e in zip(texts, LIBRARY.encode_batch_fast(texts, add_special_tokens=False), strict=True):
+        ids, made = enc.encode_tree(t)
+        assert np.frombuffer(ids, dtype="<u4").tolist() == e.ids
+        joins += made
+        assert made >= len(t) // leaf - 1
+    assert joins > len(texts)
+    flat = enc.encode_many(texts)
+    assert [len(x) // 4 for x in flat] == [len(enc.encode_tree(t)[0]) // 4 for t in texts]
+
+
+def test_roundtrip_and_counts_of_all_documents(spark, sf):
+    texts = {r["doc_id"]: r["text"] or "" for r in table(spark, sf, "documents").collect()}
+    want = dict(zip(texts, (e.ids for e in LIBRARY.encode_batch_fast(list(texts.values()), add_special_tokens=False))))
+    for r in queries.QUERIES["op7_bpe_roundtrip"](spark, sf).collect():
+        ids = want[r["doc_id"]]
+        assert (r["n_tokens"], r["ids_sha256"]) == (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest())
+        assert r["decoded_sha256"] == hashlib.sha256(LIBRARY.decode(ids, skip_special_tokens=False).encode()).hexdigest()
+    for r in queries.QUERIES["op4_token_counts"](spark, sf).collect():
+        assert (r["n_bytes"], r["n_tokens"], r["over_limit"]) == (len(texts[r["doc_id"]].encode()), len(want[r["doc_id"]]), len(want[r["doc_id"]]) > 1024)
+    total = 0
+    for r in queries.QUERIES["op6_packing"](spark, sf).collect():
+        ids = [*want[r["doc_id"]], 0]
+        assert r["ids_crc32"] == zlib.crc32(np.array(ids[r["start"] : r["start"] + r["length"]], dtype="<u4").tobytes()) and r["doc_tokens"] == len(ids)
+        total += r["length"]
+    assert total == sum(len(x) + 1 for x in want.values())
 
 
 def test_roundtrip(hard, none, spark):
@@ -258,10 +292,28 @@ def test_topk_edges(spark):
     want = sorted(((-sum(a * b for a, b in zip([256, 128], e)), i) for i, e in usable if i != 0))[:3]
     assert mine == [(k + 1, i, -s) for k, (s, i) in enumerate(want)]
     assert topk.top_k(v.where("false"), F.col("vec_id") % 50 == 0).count() == 0
+    clash = v.select("*", *(F.lit(1).alias(c) for c in ("query", "norm", "grp", "v", "score", "rank", "block")))
+    assert sorted(map(tuple, topk.top_k(clash, F.col("vec_id") % 50 == 0, 3).collect())) == sorted(map(tuple, got))
     few = topk.top_k(v.where("vec_id in (0, 4)"), F.col("vec_id") % 50 == 0, 5).collect()
     assert [(r["query_id"], r["rank"], r["vec_id"]) for r in few] == [(0, 1, 4)]
 
 
+@pytest.mark.parametrize("most", [3, 1024])
+def test_topk_in_groups_and_with_a_common_vector(spark, monkeypatch, most):
+    monkeypatch.setattr(topk, "GROUP", most)
+    rng = np.random.default_rng(3)
+    rows = [(i, [1.0, -2.0, 0.5] if i % 3 == 0 else rng.normal(size=3).tolist()) for i in range(600)]
+    rows += [(50, [1.0, 1.0, 1.0])] * 40 + [(7, [9.0, 9.0, 9.0])] * 40  # one id and vector many times
+    got = {}
+    for r in topk.top_k(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), F.col("vec_id") % 50 == 0).collect():
+        got.setdefault(r["query_id"], []).append((r["rank"], r["vec_id"], r["score"]))
+    whole = [(i, [int(np.floor(256 * x)) for x in e]) for i, e in rows]
+    for q in range(0, 600, 50):
+        asks = {tuple(v) for i, v in whole if i == q}
+        best = sorted((-sum(a * b for a, b in zip(x, v)), i) for x in asks for i, v in whole if i != q)[:5]
+        assert sorted(got[q]) == [(k + 1, i, -s) for k, (s, i) in enumerate(best)]
+
+
 # ---- chat
 def test_template_compiler():
     text, spans = chat.render([{"role": "user", "text": "</s>[INST] \\l"}, {"role": "assistant", "text": "ok<"}])
@@ -273,6 +325,8 @@ def test_template_compiler():
     assert folded == (chat.Output(chat.Const("abcd5")),)
     out = "".join(p for p, _ in chat.compile_template("{% for m in ms %}{% if not loop.first and m.n != 2 %}{{ m.n }}{% elif m['n'] == 2 %}two{% else %}-{% endif %}{% endfor %}")(ms=[{"n": i} for i in range(4)]))
     assert out == "-1two3"
+    trimmed = "".join(p for p, _ in chat.compile_template("x {%- if 1 == 1 -%} y {{- z -}}  w {% endif %}")(z="!"))
+    assert trimmed == "xy!w "
     for bad in ("{{ x.__class__ }}", "{{ f() }}", "{% for x %}{% endfor %}", "{% if x %}", "{{ x | nope }}", "{% endif %}", "{{ 'a }}", "{% import os %}"):
         with pytest.raises(chat.TemplateError):
             chat.compile_template(bad)
