@@ -1,6 +1,8 @@
 """Quality classifier: Bradley-Terry pairwise ranking.
 
-Every document gets a few features of its whole text. A preference pair is a labelled document of quality 1 and
+Every document gets some shape counts of its whole text and hashed shares of its byte trigrams and of its words (what
+it says beside how it looks; they enter with a twentieth of the counts' scale, so that the counts decide where they can). A
+preference pair is a labelled document of quality 1 and
 one of quality 0; the probability that the first is preferred is the logistic function of the difference of
 their scores, and scores are linear in the features, so learning is logistic regression on feature differences
 without an intercept. The cut between good and bad is the quantile of the training scores at the share of
@@ -8,10 +10,10 @@ quality 0 among them, moved to the middle of the gap that it falls in; the publi
 function of (score - cut), so 0.5 is the cut.
 
 Labelled training rows are a bounded sample (``max_labelled``, those with the smallest hashes of doc_id), pairs
-are ``pairs`` draws among them, both documented parameters; every document is scored from its whole text.
+are all of good and bad ones, or ``pairs`` draws among them where there are more, documented parameters; every document is scored from its whole text.
 
 Defined results: null text is the empty text and has a score; repeated labels of a document count as often as
-they come; null labels are left out; without both labels in the training rows every score is 0.5; an empty table
+they come, a labelled doc_id of several texts trains with the least of them; null labels are left out; without both labels in the training rows every score is 0.5; an empty table
 gives no rows; other columns (lang, source, labels) never enter a score.
 """
 
@@ -19,6 +21,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from zlib import crc32
 
 import numpy as np
 import pyarrow as pa
@@ -28,6 +31,9 @@ from pyspark.sql import functions as F
 from .common import table, whole_text
 
 FEATURES = ["log_words", "mean_word", "letters", "upper", "digits", "marks", "odd_marks", "pipes", "bangs", "distinct", "repeats", "top_word", "line_repeats", "long_words", "ends", "marked_words"]
+#: buckets of byte trigrams and of words, and their scale beside the counts
+GRAMS, WORDS, SOFT = 64, 64, 0.05
+WIDTH = len(FEATURES) + GRAMS + WORDS
 SENTENCE = re.compile(r"[.?!]")
 ODD = re.compile(r"[^\w\s.,;:'\"()?!-]")
 DIGIT = re.compile(r"\d")
@@ -35,12 +41,17 @@ UPPER = re.compile(r"[A-ZÀ-ÖØ-Þ]")
 MARKED = re.compile(r"[^\w\s.,;:'\"()-]{2,}(?:\s|$)")
 
 
-def features(text: str) -> list[float]:
-    """FEATURES of a whole text; shares lie in [0, 1]."""
+def _shares(counts: np.ndarray) -> np.ndarray:
+    """Square roots of shares: rare buckets count, and long texts as much as short ones."""
+    return np.sqrt(counts / max(1, counts.sum()))
+
+
+def features(text: str) -> np.ndarray:
+    """FEATURES, trigram shares and word shares of a whole text; shares lie in [0, 1]."""
     words = text.split()
     n, chars = len(words), max(1, len(text))
     if not n:
-        return [0.0] * len(FEATURES)
+        return np.zeros(WIDTH)
     lengths = list(map(len, words))
     counts: dict[str, int] = {}
     for w in words:
@@ -48,7 +59,11 @@ def features(text: str) -> list[float]:
     lines = [x for x in text.split("\n") if x.strip()]
     letters = chars - len(ODD.findall(text)) - len(DIGIT.findall(text))
     odd = len(ODD.findall(text))
-    return [
+    raw = np.frombuffer(text.encode("utf-8", "surrogatepass"), dtype=np.uint8).astype(np.uint32)
+    mixed = (raw[:-2] * np.uint32(0x9E3779B1) + raw[1:-1] * np.uint32(0x85EBCA6B) + raw[2:] * np.uint32(0xC2B2AE35)) >> np.uint32(26) if len(raw) > 2 else raw[:0]
+    grams = np.bincount(mixed, minlength=GRAMS)
+    said = np.bincount([crc32(w.encode("utf-8", "surrogatepass")) % WORDS for w in counts], weights=list(counts.values()), minlength=WORDS)
+    shape = [
         np.log1p(n),
         min(1.0, sum(lengths) / n / 12),
         letters / chars,
@@ -66,6 +81,7 @@ def features(text: str) -> list[float]:
         sum(w[-1] in ".!?" for w in words) / n,
         min(1.0, len(MARKED.findall(text)) / n),
     ]
+    return np.concatenate([shape, _shares(grams), _shares(said)])
 
 
 def feature_rows(docs: DataFrame) -> DataFrame:
@@ -73,7 +89,7 @@ def feature_rows(docs: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = [features(t) for t in b.column("text").to_pylist()]
+            x = [features(t).tolist() for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(x, pa.list_(pa.float64()))], ["doc_id", "x"])
 
     return docs.select("doc_id", whole_text().alias("text")).mapInArrow(run, "doc_id long, x array<double>")
@@ -98,17 +114,23 @@ class Ranker:
 
 def fit(x: np.ndarray, y: np.ndarray, pairs: int = 40_000, steps: int = 300, penalty: float = 1e-3, seed: int = 7) -> Ranker:
     """Bradley-Terry weights from pairs of a good and a bad row, and the cut at the quantile of the bad share."""
-    width = x.shape[1] if x.ndim == 2 else len(FEATURES)
+    width = x.shape[1] if x.ndim == 2 else WIDTH
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
     if not len(good) or not len(bad):
         return Ranker(np.zeros(width), np.ones(width), np.zeros(width), 0.0)
     # both classes weigh alike in the scaling, or a rare bad kind would have no spread
     mean = (x[good].mean(axis=0) + x[bad].mean(axis=0)) / 2
     scale = np.sqrt((x[good].var(axis=0) + x[bad].var(axis=0)) / 2 + (x[good].mean(axis=0) - x[bad].mean(axis=0)) ** 2 / 4) + 1e-9
+    scale[len(FEATURES) :] /= SOFT
     model = Ranker(mean, scale, np.zeros(width), 0.0)
     z = np.clip((x - mean) / scale, -8, 8)
     draw = np.random.default_rng(seed)
-    d = z[draw.choice(good, pairs)] - z[draw.choice(bad, pairs)]
+    if len(good) * len(bad) <= pairs:  # all pairs, where they are few
+        first, second = np.repeat(good, len(bad)), np.tile(bad, len(good))
+    else:
+        first, second = draw.choice(good, pairs), draw.choice(bad, pairs)
+    d = z[first] - z[second]
+    pairs = len(d)
     w = np.zeros(width)
     hessian = d.T @ d / pairs / 4 + penalty * np.eye(width)
     step = np.linalg.inv(hessian)
@@ -133,9 +155,10 @@ def training_labels(labels: DataFrame, max_labelled: int) -> DataFrame:
 def trained(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) -> Ranker:
     """The model of the training rows; at most max_labelled labels reach the driver or are broadcast."""
     known = training_labels(labels, max_labelled)
-    rows = feature_rows(docs.join(F.broadcast(known.select("doc_id").distinct()), "doc_id", "left_semi"))
-    got = rows.join(F.broadcast(known), "doc_id").select("doc_id", "x", "y").toPandas().sort_values(["doc_id", "y"])
-    x = np.array(got["x"].tolist(), dtype=float).reshape(len(got), len(FEATURES))
+    some = docs.select("doc_id", whole_text().alias("text")).join(F.broadcast(known.select("doc_id").distinct()), "doc_id", "left_semi")
+    some = some.groupBy("doc_id").agg(F.min("text").alias("text"))  # a doc_id that repeats trains with its least text, once
+    got = feature_rows(some).join(F.broadcast(known), "doc_id").select("doc_id", "x", "y").toPandas().sort_values(["doc_id", "y"])
+    x = np.array(got["x"].tolist(), dtype=float).reshape(len(got), WIDTH)
     return fit(x, got["y"].to_numpy())
 
 
@@ -145,7 +168,7 @@ def scored(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) -> Da
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = np.array([features(t) for t in b.column("text").to_pylist()], dtype=float).reshape(-1, len(FEATURES))
+            x = np.array([features(t) for t in b.column("text").to_pylist()], dtype=float).reshape(-1, WIDTH)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(model.score(x), pa.float64())], ["doc_id", "score"])
 
     out = docs.select(F.col("doc_id").cast("long"), whole_text().alias("text")).mapInArrow(run, "doc_id long, score double")
@@ -158,7 +181,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) ->
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            x = np.array([features(t or "") for t in b.column("text").to_pylist()], dtype=float).reshape(-1, len(FEATURES))
+            x = np.array([features(t or "") for t in b.column("text").to_pylist()], dtype=float).reshape(-1, WIDTH)
             yield b.filter(pa.array(model.score(x) >= 0.5, pa.bool_()))
 
     return docs.mapInArrow(run, docs.schema)
