@@ -38,3 +38,11 @@ def shingles(text: Column, n: int) -> Column:
     # the words are bound once as a variable, or they would be split anew for each n-gram
     grams = F.transform(F.array(words), lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.concat_ws(" ", F.slice(w, i, n)))))
     return F.coalesce(F.get(grams, F.lit(0)), F.array().cast("array<string>"))
+
+
+def shingle_hashes(text: Column, n: int) -> Column:
+    """array<bigint> of the hashes of a text's word n-grams: each word is hashed once, a gram is the hash of n of them."""
+    words = F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), r"\s+"), lambda w: w != "")
+    hashed = F.transform(words, lambda w: F.xxhash64(w))
+    grams = F.transform(F.array(hashed), lambda w: F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.xxhash64(F.slice(w, i, n)))))
+    return F.coalesce(F.get(grams, F.lit(0)), F.array().cast("array<bigint>"))

@@ -15,18 +15,20 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.formulas import seg_of
 from ..functions.hashing import bases, positions
 from ..plans.planner import Plan
 from ..schemas import require
+from ..sources.io import staged
 
 WORD = 32
 BLOCK_BITS = 512
-#: most bits of a filter whose words are a constant of the plan, and that travel as broadcast rows
-ARRAY_BITS, BROADCAST_BITS = 1 << 22, 1 << 31
+#: most bits of a filter whose words are a constant of the plan, and that travel as broadcast rows (2^20 rows, about
+#: 64 MB as a hashed table)
+ARRAY_BITS, BROADCAST_BITS = 1 << 22, 1 << 25
 
 
 def with_region(df: DataFrame, plan: Plan) -> DataFrame:
@@ -80,7 +82,7 @@ def _block_positions(df: DataFrame, plan: Plan, family: str, sizing: str) -> Dat
     blocks = [-(-x // BLOCK_BITS) for x in m]
     h1, h2 = bases(F.col("elem"), family)
     n = F.greatest(F.lit(1).cast("bigint"), _of_region(blocks))
-    inner = F.floor(h1 / n).cast("bigint")
+    inner = F.call_function("div", h1, n)  # in whole numbers: a quotient of doubles would lose bits
     step = F.pmod(h2, F.lit(BLOCK_BITS)).bitwiseOR(F.lit(1).cast("bigint"))
     at = F.transform(F.sequence(F.lit(0), F.greatest(F.lit(1), _of_region(h, "int")) - 1), lambda i: F.pmod(F.pmod(inner, F.lit(BLOCK_BITS)) + i * step, F.lit(BLOCK_BITS)))
     return df.withColumn("block", F.pmod(h1, n)).withColumn("positions", at)
@@ -95,9 +97,11 @@ def build_blocked(keys: DataFrame, plan: Plan, family: str = "xx", sizing: str =
     return words.groupBy("region", "block").agg(F.array(*every).alias("words"))
 
 
-def build_any(keys: DataFrame, plan: Plan) -> DataFrame:
+def build_any(keys: DataFrame, plan: Plan, family: str = "auto", sizing: str = "formula") -> DataFrame:
     """The layout that ``probe`` can read by 'auto' at the plan's size: blocks above BROADCAST_BITS, else words."""
-    return (build_blocked if sum(_sizes(plan, "formula")[0]) > BROADCAST_BITS else build)(keys, plan)
+    blocks = sum(_sizes(plan, sizing)[0]) > BROADCAST_BITS
+    family = ("xx" if blocks else "md5") if family == "auto" else family
+    return (build_blocked if blocks else build)(keys, plan, family, sizing)
 
 
 def build_bitmap(keys: DataFrame, plan: Plan, family: str = "xx") -> DataFrame:
@@ -155,12 +159,14 @@ def packed(filt: DataFrame, plan: Plan, sizing: str = "formula") -> tuple[Column
     return F.split(F.lit(",".join(map(str, words))), ",").cast("array<bigint>"), begins
 
 
-def probe(df: DataFrame, filt: DataFrame, plan: Plan, strategy: str = "auto", family: str = "md5", sizing: str = "formula") -> DataFrame:
-    """df (elem, seg, ...) with region and maybe. ``filt`` is from ``build``, or from ``build_blocked`` for 'shuffle'."""
+def probe(df: DataFrame, filt: DataFrame, plan: Plan, strategy: str = "auto", family: str = "auto", sizing: str = "formula") -> DataFrame:
+    """df (elem, seg, ...) with region and maybe. ``filt`` is from ``build``, or from ``build_blocked`` for 'shuffle'; the
+    family of hashes is the builder's, by default that of either."""
     require(df, "elem")
     m, _ = _sizes(plan, sizing)
     if strategy == "auto":
         strategy = "shuffle" if "block" in filt.columns else "array" if sum(m) <= ARRAY_BITS else "broadcast"
+    family = ("xx" if strategy == "shuffle" else "md5") if family == "auto" else family
     rows = with_region(df, plan)
     fixed = F.when(F.col("elem").isNull(), F.lit(False)).otherwise(_without_lookup(plan))
     if strategy == "array":
@@ -190,7 +196,6 @@ def probe(df: DataFrame, filt: DataFrame, plan: Plan, strategy: str = "auto", fa
             hit = hit & F.when(at.isNull(), F.lit(True)).otherwise(set_)
         return asked.withColumn("maybe", F.coalesce(fixed, hit, F.lit(False))).drop("positions", *(f"__b{i}" for i in range(most)))
     if strategy == "shuffle":
-        family = "xx" if family == "md5" else family
         asked = rows.withColumn("__fixed", fixed)
         known = asked.where(F.col("__fixed").isNotNull()).withColumn("maybe", F.col("__fixed")).drop("__fixed")
         open_ = _block_positions(asked.where(F.col("__fixed").isNull()).drop("__fixed"), plan, family, sizing)
@@ -205,8 +210,13 @@ def probe_shared(df: DataFrame, filt: DataFrame, plan: Plan, m: int, family: str
     _, h = _sizes(plan, "formula")
     rows = with_region(df, plan).withColumn("positions", positions(F.col("elem"), F.greatest(F.lit(1), _of_region(h, "int")), m, family))
     most = max(1, *h)
-    if m > BROADCAST_BITS:
-        raise ValueError("too many bits to broadcast")
+    fixed = F.when(F.col("elem").isNull(), F.lit(False)).otherwise(F.element_at(F.array(*(F.lit(True if x == 0 else None).cast("boolean") for x in h)), F.col("region")))
+    if m > BROADCAST_BITS:  # each position of each element asked for meets its word by a shuffle
+        at = rows.where("elem is not null").select("elem", "region", F.explode("positions").alias("p")).distinct()
+        at = at.join(filt.select(F.col("word").alias("__w"), "bits"), F.floor(F.col("p") / WORD).cast("bigint") == F.col("__w"), "left")
+        set_ = F.coalesce(F.col("bits"), F.lit(0)).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod("p", F.lit(WORD)).cast("int"))) != 0
+        said = at.groupBy("elem", "region").agg(F.bool_and(set_).alias("__hit"))
+        return rows.join(said, ["elem", "region"], "left").withColumn("maybe", F.coalesce(fixed, F.col("__hit"), F.lit(False))).drop("positions", "__hit")
     hit = F.lit(True)
     for i in range(most):
         f = F.broadcast(filt.select(F.col("word").alias("__w"), F.col("bits").alias(f"__b{i}")))
@@ -214,10 +224,23 @@ def probe_shared(df: DataFrame, filt: DataFrame, plan: Plan, m: int, family: str
         rows = rows.join(f, F.floor(at / WORD).cast("bigint") == F.col("__w"), "left").drop("__w")
         set_ = F.coalesce(F.col(f"__b{i}"), F.lit(0)).bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("bigint"), F.pmod(at, F.lit(WORD)).cast("int"))) != 0
         hit = hit & F.when(at.isNull(), F.lit(True)).otherwise(set_)
-    fixed = F.when(F.col("elem").isNull(), F.lit(False)).otherwise(F.element_at(F.array(*(F.lit(True if x == 0 else None).cast("boolean") for x in h)), F.col("region")))
     return rows.withColumn("maybe", F.coalesce(fixed, hit, F.lit(False))).drop("positions", *(f"__b{i}" for i in range(most)))
 
 
+def probe_bitmap(df: DataFrame, filt: DataFrame, plan: Plan, family: str = "xx") -> DataFrame:
+    """maybe for the layout of built-in bitmaps, whatever their number: each position of each element asked for meets its
+    bitmap by a shuffle, and the byte that holds its bit is looked at."""
+    rows = with_region(df, plan)
+    fixed = F.when(F.col("elem").isNull(), F.lit(False)).otherwise(_without_lookup(plan))
+    asked = _positions(rows.withColumn("__fixed", fixed).where("__fixed is null and elem is not null").select("elem", "region").distinct(), plan, family, "formula")
+    at = asked.select("elem", "region", F.explode("positions").alias("p"))
+    at = at.select("elem", "region", F.bitmap_bucket_number("p").alias("bucket"), F.bitmap_bit_position("p").alias("bit")).join(filt, ["region", "bucket"], "left")
+    byte = F.conv(F.hex(F.substring("bitmap", F.floor(F.col("bit") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    set_ = F.coalesce(byte, F.lit(0)).bitwiseAND(F.call_function("shiftleft", F.lit(1), F.pmod("bit", F.lit(8)).cast("int"))) != 0
+    said = at.groupBy("elem", "region").agg(F.bool_and(set_).alias("__hit"))
+    return rows.join(said, ["elem", "region"], "left").withColumn("maybe", F.coalesce(fixed, F.col("__hit"), F.lit(False))).drop("__hit")
+
+
 def probe_fingerprints(df: DataFrame, filt: DataFrame, plan: Plan, family: str = "xx") -> DataFrame:
     rows = _prints(with_region(df, plan), plan, family)
     joined = rows.join(filt, ["region", "bucket"], "left")
@@ -234,16 +257,15 @@ class OneRegion:
         return Plan((0, size), (1.0,), (1.0,), (rate,), (n,), rate, "standard")
 
 
-def probe_sandwich(df: DataFrame, front: DataFrame, front_plan: Plan, score, cut: int, n_segments: int, back: DataFrame, back_plan: Plan) -> DataFrame:
+def probe_sandwich(df: DataFrame, front: DataFrame, front_plan: Plan, score, cut: int, n_segments: int, back: DataFrame, back_plan: Plan, family: str = "md5", sizing: str = "formula") -> DataFrame:
     """Front filter first; only its survivors are scored (``score``: DataFrame -> DataFrame with score); from the cut
     on they are accepted, below it the backup filter decides. Columns as df's, with seg and maybe."""
-    asked = probe(df.withColumn("seg", F.lit(0)), front, front_plan).drop("region")
-    out = asked.where(~F.col("maybe"))
+    asked = staged(probe(df.withColumn("seg", F.lit(0)), front, front_plan, family=family, sizing=sizing).drop("region"), "front")  # so that the front is asked once
     alive = score(asked.where("maybe").drop("maybe", "seg")).withColumn("seg", seg_of(F.col("score"), n_segments))
-    above = alive.where(F.col("seg") >= cut).withColumn("maybe", F.lit(True))
-    below = probe(alive.where(F.col("seg") < cut), back, back_plan).drop("region")
+    back_says = probe(alive, back, back_plan, family=family, sizing=sizing).drop("region")
+    kept = back_says.withColumn("maybe", (F.col("seg") >= cut) | F.col("maybe"))
     columns = [*df.columns, "seg", "maybe"]
-    return out.select(columns).unionByName(above.select(columns)).unionByName(below.select(columns))
+    return asked.where(~F.col("maybe")).select(columns).unionByName(kept.select(columns))
 
 
 def fill(filt: DataFrame, plan: Plan, sizing: str = "formula") -> DataFrame:
@@ -257,7 +279,3 @@ def exact(df: DataFrame, keys: DataFrame) -> DataFrame:
     """The true answer, by a semi-join."""
     return df.join(keys.select("elem").distinct(), "elem", "left_semi")
 
-
-def rank_words(filt: DataFrame) -> DataFrame:
-    """Words by how many bits they hold, within each region: where an array is crowded."""
-    return filt.withColumn("set_bits", F.bit_count("bits")).withColumn("rank", F.rank().over(Window.partitionBy("region").orderBy(F.desc("set_bits"), "word")))

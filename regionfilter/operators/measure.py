@@ -41,15 +41,15 @@ def f1(scored: DataFrame, cut: float = 0.5) -> DataFrame:
 
 
 def space_ratio(curve: DataFrame, of: str = "region") -> DataFrame:
-    """(method, target, ratio): bits of each method over those of one, at the same target."""
-    own = curve.where(F.col("method") == of).select("target", F.col("backup_bits").alias("own"))
-    return curve.join(own, "target").select("method", "target", (F.col("backup_bits") / F.col("own")).alias("ratio"))
+    """(method, target, ratio): all bits of each method, its scorer's included, over those of one at the same target."""
+    own = curve.where(F.col("method") == of).select("target", F.col("total_bits").alias("own"))
+    return curve.join(own, "target").select("method", "target", (F.col("total_bits") / F.col("own")).alias("ratio"))
 
 
 def dominated(curve: DataFrame) -> DataFrame:
-    """The points of a curve that another point beats: fewer bits and no higher rate, or the other way round."""
-    o = curve.select(F.col("backup_bits").alias("bits2"), F.col("expected_rate").alias("rate2"))
-    better = (F.col("bits2") <= F.col("backup_bits")) & (F.col("rate2") <= F.col("expected_rate")) & ((F.col("bits2") < F.col("backup_bits")) | (F.col("rate2") < F.col("expected_rate")))
+    """The points of a curve that another point beats: fewer bits in all and no higher rate, or the other way round."""
+    o = curve.select(F.col("total_bits").alias("bits2"), F.col("expected_rate").alias("rate2"))
+    better = (F.col("bits2") <= F.col("total_bits")) & (F.col("rate2") <= F.col("expected_rate")) & ((F.col("bits2") < F.col("total_bits")) | (F.col("rate2") < F.col("expected_rate")))
     return curve.join(F.broadcast(o), better, "left_semi")  # a curve has one row for each method and target
 
 

@@ -40,10 +40,17 @@ def divergence(regions: DataFrame) -> DataFrame:
     return regions.agg(F.coalesce(F.sum(kl_term(F.col("a"), F.col("b"))), F.lit(0.0)).alias("divergence"), F.coalesce(F.bool_or((F.col("a") > 0) & (F.col("b") <= 0)), F.lit(False)).alias("unbounded"))
 
 
+def seg_between(score: Column, edges: list[float]) -> Column:
+    """Segment 0..len(edges) of a score: how many edges it has reached. Null and NaN fall in the lowest."""
+    safe = F.coalesce(F.nanvl(F.round(score.cast("double"), 9), F.lit(0.0)), F.lit(0.0))
+    return sum((F.when(safe >= F.lit(e), 1).otherwise(0) for e in sorted(edges)), F.lit(0)).cast("int")
+
+
 def quantile_edges(scored: DataFrame, n: int) -> list[float]:
-    """Edges 0 < e1 < ... < 1 at score quantiles: slices where the mass is. A bounded answer of one aggregation."""
+    """Edges 0 < e1 < ... < 1 at score quantiles: slices where the mass is. A bounded answer of one aggregation. With
+    ``seg_between`` they take the place of equal slices; histograms and planners only see segments."""
     got = scored.agg(F.percentile_approx("score", [i / n for i in range(1, n)], 10_000).alias("q")).first()["q"] or []
-    return sorted({float(x) for x in got if 0 < x < 1})
+    return sorted({round(float(x), 9) for x in got if 0 < x < 1})
 
 
 def drift(old: DataFrame, new: DataFrame) -> DataFrame:

@@ -12,7 +12,7 @@ from . import rates as R
 from . import thresholds as T
 from .planner import Plan, plan_of
 
-GAMMAS = tuple(round(1.1 + 0.3 * i, 1) for i in range(40))
+GAMMAS = tuple(round(1.1 + 0.3 * i, 1) for i in range(131))  # 1.1 to 40.1
 
 
 def ideal_bits(n: int, target: float) -> float:
@@ -185,6 +185,36 @@ def geometric_separate(hist: T.Histogram, k: int, target: float, gammas=GAMMAS)
     return plan_of(hist, best[1], best[2], target, "geometric_separate") if best else None
 
 
+def geometric_shared_for_budget(hist: T.Histogram, k: int, bits: float, gammas=GAMMAS, most_hashes: int = 40) -> float | None:
+    """The least expected rate of the one-array design within a number of bits."""
+    best = None
+    for gamma in gammas:
+        a, b = hist.shares(geometric_cuts(hist, k, gamma))
+        for top in range(most_hashes, 0, -1):
+            rates = np.array([2.0 ** -(round(top * (k - 1 - r) / (k - 1)) if k > 1 else top) for r in range(k)])
+            if R.size_per_key(a, rates) * hist.n <= bits * (1 + 1e-12):
+                got = R.expected_rate(b, rates)
+                best = got if best is None else min(best, got)
+                break
+    return best
+
+
+def geometric_separate_for_budget(hist: T.Histogram, k: int, bits: float, gammas=GAMMAS) -> float:
+    """The least target rate of the design of separate filters within a number of bits."""
+    best = 1.0
+    for gamma in gammas:
+        a, b = hist.shares(geometric_cuts(hist, k, gamma))
+        fits = lambda target: R.size_per_key(a, equal_mass_rates(b, target)) * hist.n <= bits  # noqa: E731, B023
+        if not fits(best):
+            continue  # no better than what is known
+        low, high = 1e-12, best
+        for _ in range(40):
+            mid = math.sqrt(low * high)
+            low, high = (low, mid) if fits(mid) else (mid, high)
+        best = high
+    return best
+
+
 def at_budget(plan_at, bits: float) -> float:
     """The least target rate at which ``plan_at(target)`` takes at most ``bits``: bisection on the logarithm."""
     low, high = 1e-12, 1.0

@@ -105,15 +105,21 @@ def top_boundary(hist: T.Histogram, k: int, target: float, table: T.Table | None
     if k == 1:
         return plan_of(hist, [0, hist.size], R.capped(*hist.shares([0, hist.size]), target), target, "region")
     table = table or T.dp_table(hist, k - 1)
-    best = None
-    for t in range(k - 1, hist.size):
-        cuts = [*table.cuts(t, k - 1), hist.size]
-        a, b = hist.shares(cuts)
-        rates = R.capped(a, b, target)
-        size = round(R.size_per_key(a, rates), T.PLACES)
-        if best is None or size < best[0]:
-            best = size, cuts, rates
-    return plan_of(hist, best[1], best[2], target, "region")
+    cuts, a, b = _all_starts(hist, table, k)
+    rates = R.capped_many(a, b, target)
+    best = int(np.argmin(np.round(R.sizes_per_key(a, rates), T.PLACES)))
+    return plan_of(hist, cuts[best].tolist(), rates[best], target, "region")
+
+
+def _all_starts(hist: T.Histogram, table: T.Table, k: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Cuts, key shares and query shares of k regions for every start of the top one, a row each."""
+    starts = np.arange(k - 1, hist.size)
+    cuts = np.zeros((len(starts), k + 1), dtype=int)
+    cuts[:, k], cuts[:, k - 1] = hist.size, starts
+    for j in range(k - 1, 1, -1):
+        cuts[:, j - 1] = table.last[j][cuts[:, j]]
+    g, h = hist.below()
+    return cuts, np.diff(g[cuts], axis=1), np.diff(h[cuts], axis=1)
 
 
 def exhaustive(hist: T.Histogram, k: int, target: float) -> Plan:
@@ -127,18 +133,17 @@ def for_budget(hist: T.Histogram, k: int, bits: float, c: float = 1.0) -> Plan:
     """The least rate within a number of bits: the dual of ``top_boundary``, by the same search of the top region."""
     per_key = max(0.0, bits) / (c * max(1, hist.n))
     if k == 1:
-        candidates = [[0, hist.size]]
+        cuts, (x, y) = np.array([[0, hist.size]]), (z[None, :] for z in hist.shares([0, hist.size]))
     else:
         table = T.dp_table(hist, k)
-        candidates = [table.cuts(hist.size, k), *([*table.cuts(t, k - 1), hist.size] for t in range(k - 1, hist.size))]
-    best = None
-    for cuts in candidates:
-        a, b = hist.shares(cuts)
-        rates = R.for_budget(a, b, per_key)
-        got = R.expected_rate(b, rates)
-        if best is None or got < best[0] * (1 - 1e-12):
-            best = got, cuts, rates
-    return plan_of(hist, best[1], best[2], float(best[0]), "region")
+        cuts, x, y = _all_starts(hist, table, k)
+        whole = table.cuts(hist.size, k)
+        ax, by = hist.shares(whole)
+        cuts, x, y = np.vstack([whole, cuts]), np.vstack([ax, x]), np.vstack([by, y])
+    rates = R.for_budget_many(x, y, per_key)
+    got = (y * rates).sum(axis=1)
+    best = int(np.flatnonzero(got <= got.min() * (1 + 1e-12))[0])
+    return plan_of(hist, cuts[best].tolist(), rates[best], float(got[best]), "region")
 
 
 def ratio_is_monotone(hist: T.Histogram) -> tuple[bool, int]:

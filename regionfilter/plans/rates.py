@@ -57,6 +57,44 @@ def for_budget(a, b, bits_per_key: float) -> np.ndarray:
         pinned = pinned | over
 
 
+def capped_many(a: np.ndarray, b: np.ndarray, target: float) -> np.ndarray:
+    """``capped`` for every row of a and b at once: as many steps as a row has regions, at most."""
+    has, pinned = a > 0, (a > 0) & (b <= 0)
+    ratio = np.divide(a, b, out=np.zeros_like(a), where=b > 0)
+    while True:
+        free = has & ~pinned
+        share = np.where(free, a, 0.0).sum(axis=1)
+        room = np.maximum(0.0, target - np.where(pinned, b, 0.0).sum(axis=1))
+        rates = np.where(free, np.divide(room, share, out=np.zeros_like(share), where=share > 0)[:, None] * ratio, np.where(pinned, 1.0, 0.0))
+        over = free & (rates > 1 + TOLERANCE)
+        if not over.any():
+            return np.minimum(rates, 1.0)
+        pinned = pinned | over
+
+
+def for_budget_many(a: np.ndarray, b: np.ndarray, bits_per_key: float) -> np.ndarray:
+    """``for_budget`` for every row of a and b at once."""
+    has, pinned = a > 0, (a > 0) & (b <= 0)
+    safe_a, safe_b = np.where(a > 0, a, 1.0), np.where(b > 0, b, 1.0)
+    while True:
+        free = has & ~pinned
+        share = np.where(free, a, 0.0).sum(axis=1)
+        given = np.where(free, a * np.log2(safe_b / safe_a), 0.0).sum(axis=1) - bits_per_key
+        level = np.divide(given, share, out=np.zeros_like(share), where=share > 0)
+        rates = np.where(free, np.exp2(level)[:, None] * safe_a / safe_b, np.where(pinned, 1.0, 0.0))
+        over = free & (rates > 1 + TOLERANCE)
+        if not over.any():
+            return np.minimum(rates, 1.0)
+        pinned = pinned | over
+
+
+def sizes_per_key(a: np.ndarray, rates: np.ndarray) -> np.ndarray:
+    """``size_per_key`` of every row."""
+    with np.errstate(divide="ignore"):
+        bits = np.where(a > 0, a * -np.log2(np.where(a > 0, rates, 1.0)), 0.0)
+    return bits.sum(axis=1)
+
+
 def size_per_key(a, rates) -> float:
     """sum(a * log2(1 / rate)): bits for each key with ideal filters; infinite if a region with keys has rate 0."""
     total = 0.0

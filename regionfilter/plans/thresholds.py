@@ -77,6 +77,8 @@ class Table:
 
     best: np.ndarray
     last: np.ndarray
+    #: how many runs of segments were weighed
+    steps: int = 0
 
     def cuts(self, e: int, j: int) -> list[int]:
         out = [e]
@@ -94,13 +96,15 @@ def dp_table(hist: Histogram, k: int) -> Table:
     n = hist.size
     best, last = np.full((k + 1, n + 1), -np.inf), np.zeros((k + 1, n + 1), dtype=int)
     best[1, 1:] = term(g[1:], h[1:])
+    steps = n
     for j in range(2, k + 1):
         for e in range(j, n + 1):
             b = np.arange(j - 1, e)
             value = best[j - 1, b] + term(g[e] - g[b], h[e] - h[b])
             at = int(np.argmax(np.round(value, PLACES)))
             best[j, e], last[j, e] = value[at], b[at]
-    return Table(best, last)
+            steps += len(b)
+    return Table(best, last, steps)
 
 
 def best_cuts(hist: Histogram, k: int) -> tuple[list[int], float]:

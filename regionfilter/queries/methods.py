@@ -9,13 +9,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .. import workloads as W
-from ..functions.formulas import kl_term, plain_bits, standard_rate
+from ..functions.formulas import LOG2E, kl_term, plain_bits, standard_rate
 from ..operators import filters, measure, prune, scorers, segments
 from ..plans import baselines, kinds, planner
 from ..plans import rates as R
 from ..plans import thresholds as T
 from ..plans.thresholds import Histogram
 from ..sources.io import staged, table
+from ..functions.hashing import u60_sql
 from . import oracle as O
 
 N, CUTS = O.N, [0, 5, 12, 20]
@@ -178,7 +179,17 @@ def plan_exhaustive_k3(spark, sf_dir):
     return plan_rows(spark, planner.exhaustive(histogram(spark, sf_dir, "line"), 3, 0.1))
 
 
-@add("plan_budget_line")
+BUDGET = [  # the region pinned at rate 1 are a prefix in the order of a / b, as under a target
+    "bo AS (SELECT *, a / b AS ratio, 1 - coalesce(sum(a) OVER w, 0) AS a_free, sum(a * log2(b / a)) OVER v AS s_free FROM r WHERE a > 0 WINDOW w AS (PARTITION BY pid ORDER BY a / b DESC, region DESC ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), v AS (PARTITION BY pid ORDER BY a / b DESC, region DESC ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING))",
+    "bf AS (SELECT *, pow(2::DOUBLE, (s_free - 4.0::DOUBLE) / a_free) AS scale FROM bo)",
+    "bm AS (SELECT pid, max(ratio) FILTER (WHERE scale * ratio <= 1 + 1e-12) AS first_free, arg_max(scale, ratio) FILTER (WHERE scale * ratio <= 1 + 1e-12) AS lam FROM bf GROUP BY pid)",
+    "c AS (SELECT r.pid, r.region, r.seg_lo, r.seg_hi, r.n_keys, r.a, r.b, CASE WHEN r.a <= 0 THEN 0 WHEN first_free IS NULL OR r.a / r.b > first_free THEN 1 ELSE least(1, lam * (r.a / r.b)) END AS rate FROM r JOIN bm USING (pid))",
+    "z AS (SELECT pid, sum(b * rate) AS rate FROM c GROUP BY pid)",
+    "best AS (SELECT pid FROM z WHERE rate <= (SELECT min(rate) FROM z) * (1 + 1e-9) ORDER BY pid LIMIT 1)",
+]
+
+
+@add("plan_budget_line", O.query([*LINE, *O.dp(4), *O.regions_of(f"SELECT -1 AS pid, cuts FROM l4 WHERE e = {N} UNION ALL SELECT e AS pid, list_append(cuts, {N}) AS cuts FROM l3 WHERE e < {N}"), *BUDGET], O.PLAN_ROWS))
 def plan_budget_line(spark, sf_dir):
     """Least rate in four bits a key."""
     h = histogram(spark, sf_dir, "line")
@@ -247,14 +258,18 @@ def bloom_words_standard(spark, sf_dir):
     return filters.build(g.where("part = 'key'"), _standard_plan(h))
 
 
-SHARED_M = 1 << 18
-_SHARED = f"built AS (SELECT region, seg_lo, seg_hi, n_keys, rate, {SHARED_M}::BIGINT AS m, CASE WHEN n_keys = 0 OR rate >= 1 THEN 0 ELSE greatest(1, round(log2(1 / rate)))::INT END AS h FROM c)"
+_SHARED = f"built AS (SELECT *, greatest(32, ceil(round({LOG2E!r}::DOUBLE * sum(n_keys * h) OVER (), 6)))::BIGINT AS m FROM (SELECT region, seg_lo, seg_hi, n_keys, rate, CASE WHEN n_keys = 0 OR rate >= 1 THEN 0 ELSE greatest(1, round(log2(1 / rate)))::INT END AS h FROM c))"
+
+
+def shared_bits(p: planner.Plan) -> int:
+    """Bits of one array for all regions, by how many it is set to hold."""
+    return max(32, math.ceil(round(LOG2E * sum(n * p.built(r)[1] for r, n in enumerate(p.n_keys)), 6)))
 
 
 @add("bloom_words_shared", O.query([*BUILT[:-1], _SHARED, *O.words()], "SELECT word, bit_or(bits) AS bits FROM w GROUP BY word"))
 def bloom_words_shared(spark, sf_dir):
     g, _, p = _fixed_plan(spark, sf_dir)
-    return filters.build_shared(g.where("part = 'key'"), p, SHARED_M)
+    return filters.build_shared(g.where("part = 'key'"), p, shared_bits(p))
 
 
 @add("probe_counts_region", O.query([*BUILT, *O.words(), *O.probed()], f"SELECT region, {O.ANSWERS} FROM a GROUP BY region"))
@@ -271,12 +286,25 @@ def probe_counts_region_broadcast(spark, sf_dir):
     return _answers(filters.probe(g, f, p, "broadcast"), "region")
 
 
-@add("probe_counts_blocked")
+def _blocked(which: str) -> str:
+    """SQL of (elem, part, region, block, pos) in blocks of 512 bits."""
+    n = "((m + 511) // 512)"
+    return f"SELECT elem, part, region, {u60_sql('elem')} % {n} AS block, ({u60_sql('elem')} // {n} % 512 + i * ({u60_sql("elem || '#2'")} % 512 | 1)) % 512 AS pos FROM g JOIN built ON seg >= seg_lo AND seg < seg_hi AND m > 0, range(40) x(i) WHERE i < h{which}"
+
+
+@add("probe_counts_blocked", O.query([*BUILT, f"kb AS (SELECT DISTINCT region, block, pos FROM ({_blocked(" AND part = 'key'")}))", f"pa AS (SELECT elem, bool_and(kb.pos IS NOT NULL) AS hit FROM ({_blocked('')}) x LEFT JOIN kb USING (region, block, pos) GROUP BY elem)", O.probed()[2]], f"SELECT region, {O.ANSWERS} FROM a GROUP BY region"))
 def probe_counts_blocked(spark, sf_dir):
     """One equi-join on (region, block): the way for filters of any size."""
     g, _, p = _fixed_plan(spark, sf_dir)
-    f = filters.build_blocked(g.where("part = 'key'"), p)
-    return _answers(filters.probe(g, f, p, "shuffle"), "region")
+    f = filters.build_blocked(g.where("part = 'key'"), p, "md5")
+    return _answers(filters.probe(g, f, p, "shuffle", "md5"), "region")
+
+
+@add("probe_counts_bitmap", ORACLES["probe_counts_region"])
+def probe_counts_bitmap(spark, sf_dir):
+    """The layout of built-in bitmaps, probed by a shuffle."""
+    g, _, p = _fixed_plan(spark, sf_dir)
+    return _answers(filters.probe_bitmap(g, filters.build_bitmap(g.where("part = 'key'"), p, "md5"), p, "md5"), "region")
 
 
 @add("probe_counts_fingerprint")
@@ -295,8 +323,8 @@ def probe_counts_standard(spark, sf_dir):
 @add("probe_counts_shared", O.query([*BUILT[:-1], _SHARED, *O.words()[:1], "w AS (SELECT pos // 32 AS word, bit_or(1::BIGINT << (pos % 32)::INT) AS bits FROM (SELECT (first + i * step) % m AS pos FROM kp) GROUP BY ALL)", *[x.replace("ON w.region = x.region AND w.word", "ON w.word") for x in O.probed()[:2]], "a AS (SELECT g.elem, g.part, CASE WHEN h = 0 THEN true ELSE coalesce(hit, false) END AS maybe FROM g JOIN built ON seg >= seg_lo AND seg < seg_hi LEFT JOIN (SELECT * FROM pa) USING (elem))"], f"SELECT {O.ANSWERS} FROM a"))
 def probe_counts_shared(spark, sf_dir):
     g, _, p = _fixed_plan(spark, sf_dir)
-    f = staged(filters.build_shared(g.where("part = 'key'"), p, SHARED_M), "words")
-    return _answers(filters.probe_shared(g, f, p, SHARED_M))
+    f = staged(filters.build_shared(g.where("part = 'key'"), p, shared_bits(p)), "words")
+    return _answers(filters.probe_shared(g, f, p, shared_bits(p)))
 
 
 def _two_stages(spark, sf_dir, design):
@@ -326,21 +354,51 @@ def fill_fraction(spark, sf_dir):
     return filters.fill(filters.build(g.where("part = 'key'"), p), p).withColumn("fill", dec("fill"))
 
 
-@add("actual_rate_all")
-def actual_rate_all(spark, sf_dir):
-    """Target, and measured rate and false negatives on held-out non-keys, of built filters of three designs."""
-    g, h, p = _fixed_plan(spark, sf_dir)
-    keys = g.where("part = 'key'")
-    out = None
-    for name, plan in (("region", planner.top_boundary(h, 5, TARGET)), ("geometric_separate", baselines.geometric_separate(h, 5, TARGET)), ("standard", _standard_plan(h))):
-        got = measure.answers(filters.probe(g, filters.build(keys, plan, sizing="exact"), plan, sizing="exact")).select(F.lit(name).alias("method"), F.lit(TARGET).alias("target"), "*")
+def built_answers(g: DataFrame, h: Histogram, k: int, target: float) -> DataFrame:
+    """(method, target, expected_rate, bits_set_aside, n_queries, false_positives, rate, n_keys, false_negatives): every
+    design that meets the target, built from the keys of g and probed with all its rows."""
+    keys, out = g.where("part = 'key'"), None
+    for name, p in {**designs(h, k, target), "standard": _standard_plan(h, target)}.items():
+        if p is None or name == "ideal":
+            continue
+        if isinstance(p, baselines.TwoStage):
+            low = int(sum(h.kc[: p.cut]))
+            front, back = filters.OneRegion.plan(h.n, p.front, h.size), filters.OneRegion.plan(low, p.backup if low else 1.0, h.size)
+            words = [filters.build(keys, front, "xx", "exact"), filters.build(keys.where(F.col("seg") < p.cut), back, "xx", "exact")]
+            probed = filters.probe_sandwich(g.drop("seg"), words[0], front, lambda d: d, p.cut, h.size, words[1], back, "xx", "exact")
+            bits = front.built(0, "exact")[0] + back.built(0, "exact")[0]
+        elif name == "geometric_shared":
+            bits = shared_bits(p)
+            probed = filters.probe_shared(g, filters.build_shared(keys, p, bits, "xx"), p, bits, "xx")
+        else:
+            bits = sum(p.built(r, "exact")[0] for r in range(p.k))
+            probed = filters.probe(g, filters.build_any(keys, p, "xx", "exact"), p, family="xx", sizing="exact")
+        expected = float(target if name == "standard" else p.expected_rate)
+        got = measure.answers(probed).select(F.lit(name).alias("method"), F.lit(target).alias("target"), F.lit(expected).alias("expected_rate"), F.lit(bits).cast("bigint").alias("array_bits"), "*")
         out = got if out is None else out.unionByName(got)
     return out
 
 
+def _measured(name: str, target: float):
+    @add(f"actual_rate_{name}")
+    def measured(spark, sf_dir):
+        """Expected and measured rate on held-out non-keys, and false negatives, of built filters of every design."""
+        s = scored(spark, sf_dir, "line" if name == "all" else name, 100)
+        g = staged(s.rows.select("elem", "is_key", "part", "score", "seg"), "scored")
+        return built_answers(g, Histogram.of(segments.histogram(g, 100)), 5, target)
+
+
+_measured("all", TARGET)
+_measured("url", 0.001)
+
+
 @add("false_negatives_all", O.query([*BUILT, *O.words(), *O.probed()], "SELECT count(*) FILTER (WHERE part = 'key' AND NOT maybe) AS false_negatives FROM a"))
 def false_negatives_all(spark, sf_dir):
-    return probe_counts_region(spark, sf_dir).agg(F.sum("false_negatives").cast("bigint").alias("false_negatives"))
+    """Keys that any built design misses, region filters in every layout included: there are none."""
+    out = probe_counts_region(spark, sf_dir).select("false_negatives")
+    for rows_ in (QUERIES["actual_rate_all"](spark, sf_dir), probe_counts_blocked(spark, sf_dir), probe_counts_fingerprint(spark, sf_dir), probe_counts_bitmap(spark, sf_dir)):
+        out = out.unionByName(rows_.select("false_negatives"))
+    return out.agg(F.sum("false_negatives").cast("bigint").alias("false_negatives"))
 
 
 # ---- competing designs
@@ -378,7 +436,7 @@ def sandwich_equals_two_regions(spark, sf_dir):
 def sandwich_for_budget_line(spark, sf_dir):
     h = histogram(spark, sf_dir, "line")
     got = [(bits, p.cut, p.front, p.backup, p.expected_rate) for bits in (2.0, 4.0, 6.0, 8.0) if (p := baselines.sandwich_for_budget(h, bits * h.n))]
-    return rows(spark, got, "bits_per_key double, cut int, front double, backup double, expected_rate double")
+    return rows(spark, got, "bits_per_key double, cut int, front double, backup double, expected_rate double").select("bits_per_key", "cut", *(dec(c, 9).alias(c) for c in ("front", "backup", "expected_rate")))
 
 
 def _geometric_sql(k: int, gammas) -> str:
@@ -391,7 +449,7 @@ def _geometric_sql(k: int, gammas) -> str:
     return f"SELECT pid, [0, c1, least(greatest(c2, c1 + 1), {N - 1}), {N}] AS cuts FROM (SELECT pid, {first} AS c1, {at[1]} AS c2 FROM (VALUES {g}) v(pid, gamma))"
 
 
-GRID = baselines.GAMMAS[:12]
+GRID = baselines.GAMMAS
 EQUAL_MASS = [  # pins regions in the order of b, the smallest first
     "eo AS (SELECT *, coalesce(sum(b) OVER w, 0) AS b_before, count(*) OVER w AS n_before, count(*) OVER (PARTITION BY pid) AS k FROM r WINDOW w AS (PARTITION BY pid ORDER BY b, region ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING))",
     "ef AS (SELECT *, (0.01::DOUBLE - b_before) / (k - n_before) AS mass FROM eo)",
@@ -436,60 +494,117 @@ def exact_answer_line(spark, sf_dir):
 TARGETS = (0.1, 0.03, 0.01, 0.003, 0.001, 0.0003, 0.0001)
 
 
-def designs(h: Histogram, k: int, target: float) -> dict:
-    """Every design at a target; None where it cannot meet it."""
+def designs(h: Histogram, k: int, target: float, tables: tuple | None = None) -> dict:
+    """Every design at a target; None where it cannot meet it. ``tables``: best cuts of k - 1 and of k regions, which
+    hold for all targets."""
+    lower, whole = tables or dp_tables(h, k)
     return {
         "ideal": filters.OneRegion.plan(h.n, target, h.size),
         "single": baselines.single(h, target),
         "sandwich": baselines.sandwich(h, target),
         "geometric_shared": baselines.geometric_shared(h, k, target),
         "geometric_separate": baselines.geometric_separate(h, k, target),
-        "relax_cap": planner.relaxed_then_cap(h, k, target),
-        "region": planner.top_boundary(h, k, target),
+        "relax_cap": planner.relaxed_then_cap(h, k, target, whole),
+        "region": planner.top_boundary(h, k, target, lower),
     }
 
 
-CURVE = "method string, k int, target double, backup_bits double, expected_rate double"
+def dp_tables(h: Histogram, k: int) -> tuple:
+    """The table of k regions serves k - 1 as well."""
+    table_ = T.dp_table(h, k)
+    return table_, table_
+
+
+CURVE = "method string, k int, target double, backup_bits double, model_bits double, total_bits double, expected_rate double"
+LEARNED = ("single", "sandwich", "geometric_shared", "geometric_separate", "relax_cap", "region")
 
 
-def curve(spark, h: Histogram, k: int = 5, targets=TARGETS) -> DataFrame:
-    got = [(m, k, t, float(p.bits_per_key * h.n), float(t if m == "ideal" else p.expected_rate)) for t in targets for m, p in designs(h, k, t).items() if p]
+def curve(spark, h: Histogram, k: int = 5, targets=TARGETS, model_bits: float = 0.0) -> DataFrame:
+    """Bits and expected rates of all designs; whatever asks the scorer pays for it."""
+    got, tables = [], dp_tables(h, k)
+    for t in targets:
+        for m, p in designs(h, k, t, tables).items():
+            if p:
+                backup, model = float(p.bits_per_key * h.n), float(model_bits if m in LEARNED else 0.0)
+                got.append((m, k, t, backup, model, backup + model, float(t if m == "ideal" else p.expected_rate)))
     return rows(spark, got, CURVE)
 
 
+#: bits for each key that are compared at equal space; 4.83 and 7.5 are the published budgets over the published keys
+BUDGETS = (2.0, 4.0, 4.83, 6.0, 7.5, 8.0)
+
+
+def equal_space_rows(h: Histogram, model_bits: float, budgets=BUDGETS) -> list[tuple]:
+    """(bits_per_key, method, expected_rate, ratio to the region design's) with the scorer inside the budget; a design
+    that cannot pay for the scorer is left out."""
+    got = []
+    for per_key in budgets:
+        left = per_key * h.n - model_bits
+        found = {"ideal": 2.0**-per_key}
+        if left > 0:
+            found["region"] = planner.for_budget(h, 5, left).expected_rate
+            if p := baselines.sandwich_for_budget(h, left):
+                found["sandwich"] = p.expected_rate
+            found["geometric_separate"] = baselines.geometric_separate_for_budget(h, 5, left)
+            if (x := baselines.geometric_shared_for_budget(h, 5, left)) is not None:
+                found["geometric_shared"] = x
+        got += [(per_key, m, float(x), float(x / found["region"]) if "region" in found else None) for m, x in found.items()]
+    return got
+
+
 def _experiment(name: str, n: int = 1000):
     def hist(spark, sf_dir):
+        """Histogram and the scorer's bits."""
         if name == "zipf":
-            return W.zipf_hist(n, 1.0)
+            return W.zipf_hist(n, 1.0), 0.0
+        if name == "zipf99":
+            return W.zipf_hist(n, sharp_exponent(n)), 0.0
+        if name == "forest_url":
+            r, s = ml_scored(spark, sf_dir, "forest", "url", URL_FEATURES, n)
+            return Histogram.of(segments.histogram(r, n)), float(s.model_bits())
+        if name == "forest_line":
+            r, s = ml_scored(spark, sf_dir, "forest", "line", LINE_FEATURES, n)
+            return Histogram.of(segments.histogram(r, n)), float(s.model_bits())
         # many segments beside few sampled queries: the added half query a segment would weigh too much
-        return histogram(spark, sf_dir, name, n, 0.5 if name in ("line", "url") else 0.05)
+        s = scored(spark, sf_dir, name, n)
+        return Histogram.of(s.hist(), 0.5 if name in ("line", "url") else 0.05), float(s.scorer.model_bits())
 
     @add(f"curve_{name}")
     def curve_(spark, sf_dir):
-        """Rate against space, all designs, N = 1000, five regions."""
-        return curve(spark, hist(spark, sf_dir))
+        """Rate against space, all designs with their scorer, N = 1000, five regions."""
+        h, model = hist(spark, sf_dir)
+        return curve(spark, h, model_bits=model)
 
     @add(f"saved_vs_k_{name}")
     def saved(spark, sf_dir):
-        """Bits saved for each number of regions at .001, with 25 as the line of saturation."""
-        h = hist(spark, sf_dir)
+        """Bits saved for each number of regions at .001, the scorer paid, with 25 as the line of saturation."""
+        h, model = hist(spark, sf_dir)
         plain = math.log2(1 / 0.001)
-        return rows(spark, [(p.k, p.divergence, float((plain - p.bits_per_key) * h.n)) for p in planner.sweep_k(h, [*range(1, 11), 25], 0.001)], "k int, divergence double, saved_bits double")
+        return rows(spark, [(p.k, p.divergence, float((plain - p.bits_per_key) * h.n - model)) for p in planner.sweep_k(h, [*range(1, 11), 25], 0.001)], "k int, divergence double, saved_bits double")
 
     @add(f"equal_space_{name}")
     def equal_space(spark, sf_dir):
-        """Rates of the designs in the same number of bits, over the region design's."""
-        h = hist(spark, sf_dir)
-        got = []
-        for per_key in (2.0, 4.0, 6.0, 8.0):
-            own = planner.for_budget(h, 5, per_key * h.n).expected_rate
-            sandwich = baselines.sandwich_for_budget(h, per_key * h.n)
-            geometric = baselines.at_budget(lambda t: baselines.geometric_separate(h, 5, t, baselines.GAMMAS[::4]), per_key * h.n)
-            got += [(per_key, m, float(x), float(x / own)) for m, x in (("region", own), ("sandwich", sandwich.expected_rate), ("geometric_separate", geometric), ("ideal", 2.0**-per_key))]
-        return rows(spark, got, "bits_per_key double, method string, expected_rate double, ratio double")
-
-
-for _name in ("zipf", "url", "line", "docs"):
+        """Rates of the designs in the same number of bits, the scorer's included, over the region design's."""
+        return rows(spark, equal_space_rows(*hist(spark, sf_dir)), "bits_per_key double, method string, expected_rate double, ratio double")
+
+
+def zipf_f1(n: int, z: float) -> float:
+    """F1 of the synthetic scores at .5, with as many non-keys as keys."""
+    k, q = (np.array(x, dtype=float) for x in W.zipf_weights(n, z))
+    hit, wrong = k[n // 2 :].sum() / k.sum(), q[n // 2 :].sum() / q.sum()
+    return float(2 * hit / (hit + wrong + 1))
+
+
+def sharp_exponent(n: int = 1000, f1: float = 0.99) -> float:
+    """The exponent of the synthetic scores at which F1 is the published one."""
+    low, high = 0.1, 4.0
+    for _ in range(40):
+        mid = (low + high) / 2
+        low, high = (mid, high) if zipf_f1(n, mid) < f1 else (low, mid)
+    return round(high, 6)
+
+
+for _name in ("zipf", "zipf99", "url", "line", "docs", "forest_url", "forest_line"):
     _experiment(_name)
 
 
@@ -498,34 +613,41 @@ def sizes_all_methods_t001(spark, sf_dir):
     """Bits of every design at .001 on the line items, ideal filters and real arrays, with the scorer's bits."""
     s = scored(spark, sf_dir, "line", 1000)
     h, model = Histogram.of(s.hist()), float(s.scorer.model_bits())
-    got = [(m, float(p.bits_per_key * h.n), float(p.bits_per_key * h.n * kinds.CONSTANTS["standard"]), 0.0 if m == "ideal" else model) for m, p in designs(h, 5, 0.001).items() if p]
+    got = [(m, float(p.bits_per_key * h.n), float(p.bits_per_key * h.n * kinds.CONSTANTS["standard"]), model if m in LEARNED else 0.0) for m, p in designs(h, 5, 0.001).items() if p]
     return rows(spark, got, "method string, ideal_bits double, array_bits double, model_bits double").withColumn("total_bits", F.col("ideal_bits") + F.col("model_bits"))
 
 
 @add("space_ratio_t001")
 def space_ratio_t001(spark, sf_dir):
+    """Bits of every design, scorers included, over the region design's at .001; the synthetic scores both at exponent 1
+    and at the published F1."""
     out = None
-    for name in ("zipf", "url", "line"):
-        h = W.zipf_hist(1000, 1.0) if name == "zipf" else histogram(spark, sf_dir, name, 1000)
-        r = measure.space_ratio(curve(spark, h, 5, (0.001,))).select(F.lit(name).alias("workload"), "*")
+    for name in ("zipf", "zipf99", "url", "line"):
+        if name.startswith("zipf"):
+            h, model = W.zipf_hist(1000, 1.0 if name == "zipf" else sharp_exponent()), 0.0
+        else:
+            s = scored(spark, sf_dir, name, 1000)
+            h, model = Histogram.of(s.hist()), float(s.scorer.model_bits())
+        r = measure.space_ratio(curve(spark, h, 5, (0.001,), model)).select(F.lit(name).alias("workload"), "*")
         out = r if out is None else out.unionByName(r)
     return out
 
 
 @add("space_ratio_by_exponent")
 def space_ratio_by_exponent(spark, sf_dir):
-    """Synthetic scores of several exponents: the sharper, the larger the ratio."""
+    """Synthetic scores of several exponents, that of the published F1 among them: the sharper, the larger the ratio."""
     got = []
-    for z in (0.5, 1.0, 1.2, 1.5, 2.0):
+    for z in (0.5, 1.0, 1.2, 1.5, sharp_exponent(), 2.0):
         d = designs(W.zipf_hist(1000, z), 5, 0.001)
-        got += [(z, m, p.bits_per_key, p.bits_per_key / d["region"].bits_per_key) for m, p in d.items() if p]
-    return rows(spark, got, "exponent double, method string, bits_per_key double, ratio double")
+        got += [(z, zipf_f1(1000, z), m, p.bits_per_key, p.bits_per_key / d["region"].bits_per_key) for m, p in d.items() if p]
+    return rows(spark, got, "exponent double, f1 double, method string, bits_per_key double, ratio double")
 
 
 @add("pareto_line")
 def pareto_line(spark, sf_dir):
     """How many points of each design's curve another design beats."""
-    c = staged(curve(spark, histogram(spark, sf_dir, "line", 1000)), "curve")
+    s = scored(spark, sf_dir, "line", 1000)
+    c = staged(curve(spark, Histogram.of(s.hist()), model_bits=float(s.scorer.model_bits())), "curve")
     return c.join(measure.dominated(c).select("method", "target", F.lit(1).alias("beaten")), ["method", "target"], "left").groupBy("method").agg(F.count("*").alias("points"), F.count("beaten").alias("beaten"))
 
 
@@ -545,15 +667,26 @@ def plateau_zipf(spark, sf_dir):
 
 @add("plan_cost_by_n")
 def plan_cost_by_n(spark, sf_dir):
-    """Divergence of five regions by the number of segments: the finer the axis, the closer."""
-    full = W.zipf_hist(1000, 1.0)
+    """Planning cost over the number of segments and of regions: runs of segments weighed, seconds, and the divergence
+    that the plan reaches."""
+    import time
+
+    full, got = W.zipf_hist(1000, 1.0), []
+    for n in (10, 20, 50, 100, 200, 500, 1000):
+        fold = lambda x: tuple(int(v) for v in np.array(x, dtype=np.int64).reshape(n, 1000 // n).sum(axis=1))  # noqa: E731, B023
+        h = Histogram(fold(full.kc), fold(full.qc), 0.0)
+        for k in (2, 5, 10):
+            began = time.perf_counter()
+            t = T.dp_table(h, k)
+            got.append((n, k, int(t.steps), time.perf_counter() - began, float(t.best[k, n])))
+    return rows(spark, got, "n int, k int, steps bigint, seconds double, divergence double")
 
-    def coarse(n):
-        step = 1000 // n
-        fold = lambda x: tuple(int(v) for v in np.array(x, dtype=np.int64).reshape(n, step).sum(axis=1))
-        return Histogram(fold(full.kc), fold(full.qc), 0.0)
 
-    return rows(spark, [(n, T.best_cuts(coarse(n), 5)[1]) for n in (10, 20, 50, 100, 200, 500, 1000)], "n int, divergence double")
+@add("plan_cost_steps", "SELECT n, k, (n + (k - 1) * n * (n + 1) // 2 - (SELECT sum((j - 1) * n - (j - 1) * (j - 2) // 2) FROM range(2, 11) r(j) WHERE j <= k))::BIGINT AS steps FROM (VALUES (10), (20), (50), (100)) v(n), (VALUES (2), (5), (10)) w(k)")
+def plan_cost_steps(spark, sf_dir):
+    """Runs of segments that the dynamic programme weighs: in proportion to k and to the square of N."""
+    got = [(n, k, int(T.dp_table(W.zipf_hist(n, 1.0), k).steps)) for n in (10, 20, 50, 100) for k in (2, 5, 10)]
+    return rows(spark, got, "n int, k int, steps bigint")
 
 
 @add("quality_sweep_line")
@@ -586,10 +719,15 @@ def standard_vs_region_arrays(spark, sf_dir):
 def advisor_all(spark, sf_dir):
     """Whether regions with the scorer's bits beat a plain filter, workload by workload."""
     got = []
-    for name in ("line", "url", "docs", "toxic"):
-        s = scored(spark, sf_dir, name, 100)
-        p = planner.top_boundary(Histogram.of(s.hist(), 0.05), 5, 0.001)
-        p = planner.Plan(**{**p.__dict__, "model_bits": float(s.scorer.model_bits())})
+    for name in ("line", "url", "docs", "toxic", "vectors"):
+        if name == "vectors":  # no signal: to be refused
+            r, scorer = ml_scored(spark, sf_dir, "logit", name, VECTOR_FEATURES, 100)
+            hist = Histogram.of(segments.histogram(r, 100), 0.05)
+        else:
+            s = scored(spark, sf_dir, name, 100)
+            hist, scorer = Histogram.of(s.hist(), 0.05), s.scorer
+        p = planner.top_boundary(hist, 5, 0.001)
+        p = planner.Plan(**{**p.__dict__, "model_bits": float(scorer.model_bits())})
         got.append((name, p.divergence, p.total_bits, p.n * math.log2(1000), planner.worthwhile(p)))
     return rows(spark, got, "workload string, divergence double, total_bits double, plain_bits double, worthwhile boolean")
 
@@ -641,15 +779,19 @@ SELECT id AS doc_id, count(DISTINCT shingle) AS shared FROM s WHERE is_item = 0
 
 @add("contam_candidates", CONTAM)
 def contam_candidates(spark, sf_dir):
-    """Documents that share word 8-grams with benchmark items: a filter of the items' shingles is probed on all
-    shingles, and only what passes meets the exact join."""
-    from ..functions.formulas import shingles
+    """Documents that share word 8-grams with benchmark items. Words are hashed once and 8-grams are hashes of eight of
+    them; a filter of the items' 8-grams is probed on all of the documents', and only documents with a hit have their
+    8-grams spelled out for the exact join."""
+    from ..functions.formulas import shingle_hashes, shingles
 
-    items = table(spark, sf_dir, "benchmark", "text").select(F.explode(shingles(F.col("text"), 8)).alias("elem")).distinct()
-    asked = table(spark, sf_dir, "documents", "doc_id", "text").select("doc_id", F.explode(shingles(F.col("text"), 8)).alias("elem"), F.lit(0).alias("seg"))
-    plan = filters.OneRegion.plan(items.count(), 0.001, 1)
-    hits = filters.probe(asked, filters.build(items, plan, "xx"), plan, family="xx").where("maybe")
-    return hits.join(items, "elem", "left_semi").groupBy("doc_id").agg(F.count_distinct("elem").alias("shared"))
+    items, docs = table(spark, sf_dir, "benchmark", "text"), table(spark, sf_dir, "documents", "doc_id", "text")
+    keys = items.select(F.explode(shingle_hashes(F.col("text"), 8)).alias("elem")).distinct()
+    asked = docs.select("doc_id", F.explode(shingle_hashes(F.col("text"), 8)).alias("elem"), F.lit(0).alias("seg"))
+    plan = filters.OneRegion.plan(keys.count(), 0.001, 1)
+    hits = filters.probe(asked, filters.build_any(keys, plan, "xx"), plan, family="xx").where("maybe").select("doc_id").distinct()
+    spelled = docs.join(hits, "doc_id", "left_semi").select("doc_id", F.explode(shingles(F.col("text"), 8)).alias("gram"))
+    exact = items.select(F.explode(shingles(F.col("text"), 8)).alias("gram")).distinct()
+    return spelled.join(exact, "gram", "left_semi").groupBy("doc_id").agg(F.count_distinct("gram").alias("shared"))
 
 
 @add("weighted_hist_orders", f"WITH k AS (SELECT o_orderkey FROM orders WHERE o_orderpriority = '1-URGENT'), q AS (SELECT l_orderkey, count(*) AS w FROM lineitem GROUP BY 1), x AS (SELECT o_orderkey, 1 AS is_key, 0 AS w FROM k UNION ALL SELECT l_orderkey, 0, w FROM q WHERE l_orderkey NOT IN (SELECT o_orderkey FROM k)) SELECT i::INT AS seg, coalesce(sum(is_key), 0)::BIGINT AS kc, coalesce(sum(w), 0)::BIGINT AS qc FROM range(20) r(i) LEFT JOIN x ON {O.u60_sql("o_orderkey::VARCHAR || '#w'")} % 20 = i GROUP BY i")
@@ -665,24 +807,130 @@ def weighted_hist_orders(spark, sf_dir):
 
 
 # ---- MLlib scorers: no SQL can repeat them
+URL_FEATURES = tuple(f"f_{x}" for x in "length host path digits question hash slash dot dash equals amp https sub tld depth html utm".split())
+LINE_FEATURES = ("price", "discount", "tax")
+VECTOR_FEATURES = tuple(f"e{i}" for i in range(W.VECTOR))
+
+
+def ml_scored(spark, sf_dir, kind: str, name: str, features, n: int = 100, **options):
+    """Rows with score and seg, and the scorer, of a workload with an MLlib scorer."""
+    from ..functions.formulas import seg_of
+    from ..operators import elements
+
+    u = W.vectors(spark, sf_dir) if name == "vectors" else W.line(spark, sf_dir) if name == "line" else W.url_features(W.url(spark, sf_dir))
+    g = staged(elements.split(elements.universe(u, *features)), "universe")
+    s = scorers.fit(g.where("part <> 'eval'"), kind, features, **options)
+    return staged(s.score(g).withColumn("seg", seg_of(F.col("score"), n)).select("elem", "is_key", "part", "score", "seg"), "scored"), s
+
+
 def _ml(kind: str, name: str, features):
     @add(f"{kind}_{name}_rows")
     def q(spark, sf_dir):
-        from ..functions.formulas import seg_of
-        from ..operators import elements
-
-        u = W.vectors(spark, sf_dir) if name == "vectors" else W.line(spark, sf_dir) if name == "line" else W.url_features(W.url(spark, sf_dir))
-        g = elements.split(elements.universe(u, *features))
-        s = scorers.fit(g.where("part <> 'eval'"), kind, features)
-        r = s.score(g).withColumn("seg", seg_of(F.col("score"), 100))
+        r, s = ml_scored(spark, sf_dir, kind, name, features)
         p = planner.top_boundary(Histogram.of(segments.histogram(r, 100)), 5, 0.001)
         f = measure.f1(r).first()["f1"]
         return rows(spark, [(kind, name, float(f or 0.0), p.divergence, p.bits_per_key, s.model_bits())], "scorer string, workload string, f1 double, divergence double, bits_per_key double, model_bits bigint")
 
 
-URL_FEATURES = tuple(f"f_{x}" for x in "length host path digits question hash slash dot dash equals amp https sub tld depth html utm".split())
-_ml("forest", "line", ("price", "discount", "tax"))
-_ml("logit", "line", ("price", "discount", "tax"))
-_ml("gbt", "line", ("price", "discount", "tax"))
+for _kind in ("forest", "logit", "gbt"):
+    _ml(_kind, "line", LINE_FEATURES)
 _ml("forest", "url", URL_FEATURES)
-_ml("logit", "vectors", tuple(f"e{i}" for i in range(16)))
+_ml("logit", "vectors", VECTOR_FEATURES)
+
+
+@add("actual_rate_forest_url")
+def actual_rate_forest_url(spark, sf_dir):
+    """As actual_rate_url, with the forest as the scorer."""
+    r, _ = ml_scored(spark, sf_dir, "forest", "url", URL_FEATURES)
+    return built_answers(r, Histogram.of(segments.histogram(r, 100)), 5, 0.001)
+
+
+@add("score_distributions")
+def score_distributions(spark, sf_dir):
+    """Keys and non-keys by score, for each scorer and workload: (workload, scorer, seg, keys, non_keys) in 20 slices."""
+    out = None
+    for name, kind in (("line", "cells"), ("url", "cells"), ("line", "forest"), ("url", "forest"), ("vectors", "logit")):
+        features = {"line": LINE_FEATURES, "url": URL_FEATURES, "vectors": VECTOR_FEATURES}[name]
+        r = scored(spark, sf_dir, name).rows if kind == "cells" else ml_scored(spark, sf_dir, kind, name, features, N)[0]
+        d = r.groupBy("seg").agg(F.count_if(F.col("is_key") == 1).alias("keys"), F.count_if(F.col("is_key") == 0).alias("non_keys")).select(F.lit(name).alias("workload"), F.lit(kind).alias("scorer"), "seg", "keys", "non_keys")
+        out = d if out is None else out.unionByName(d)
+    return out
+
+
+@add("training_loss_line")
+def training_loss_line(spark, sf_dir):
+    """The same logistic scorer trained by squared error and by the divergence of its scores: what the choice is worth."""
+    got = []
+    for loss in scorers.LOSSES:
+        r, s = ml_scored(spark, sf_dir, "steps", "line", LINE_FEATURES, 100, loss=loss)
+        p = planner.top_boundary(Histogram.of(segments.histogram(r, 100)), 5, 0.001)
+        got.append((loss, float(measure.f1(r).first()["f1"] or 0.0), p.divergence, p.bits_per_key, s.model_bits()))
+    return rows(spark, got, "loss string, f1 double, divergence double, bits_per_key double, model_bits bigint")
+
+
+@add("quantile_segments_line")
+def quantile_segments_line(spark, sf_dir):
+    """Equal slices of the axis against slices at score quantiles, planned alike: divergence and bits by number."""
+    g = staged(scored(spark, sf_dir, "line", 100).rows.select("elem", "is_key", "part", "score"), "scored")
+    from ..functions.formulas import seg_of
+
+    got = []
+    for n in (10, 20, 50, 100):
+        edges = segments.quantile_edges(g, n)
+        for how, seg, size in (("equal", seg_of(F.col("score"), n), n), ("quantile", segments.seg_between(F.col("score"), edges), len(edges) + 1)):
+            h = Histogram.of(segments.histogram(g.withColumn("seg", seg), size))
+            p = planner.top_boundary(h, min(5, size), 0.001)
+            got.append((how, n, size, p.divergence, p.bits_per_key))
+    return rows(spark, got, "slices string, asked int, segments int, divergence double, bits_per_key double")
+
+
+BLOCKLIST = "regexp_matches(url, '^[a-z]+://([^/?#]*\\.)?(spam-farm|cheap-pills)[^/?#]*')"
+
+
+@add("blocklist_hosts", f"SELECT count(DISTINCT url) AS urls, count(DISTINCT url) FILTER (WHERE {BLOCKLIST}) AS keys, count(DISTINCT url) FILTER (WHERE {BLOCKLIST}) AS found, 0::BIGINT AS missed FROM pages")
+def blocklist_hosts(spark, sf_dir):
+    """Pages on blocked hosts, as they are: few keys or none. A filter of them is built and asked for every page, and what
+    it says yes to meets the exact list."""
+    pages = table(spark, sf_dir, "pages", "url").where("url is not null").select(F.col("url").alias("elem")).distinct()
+    keys = pages.where(F.col("elem").rlike(r"^[a-z]+://([^/?#]*\.)?(spam-farm|cheap-pills)[^/?#]*"))
+    plan = filters.OneRegion.plan(keys.count(), 0.001, 1)
+    said = staged(filters.probe(pages.withColumn("seg", F.lit(0)), filters.build_any(keys, plan, "xx"), plan, family="xx").select("elem", "maybe"), "said")
+    asked = said.join(keys.select("elem", F.lit(True).alias("is_key")), "elem", "left")
+    key = F.coalesce("is_key", F.lit(False))
+    return asked.agg(F.count("*").alias("urls"), F.count_if(key).alias("keys"), F.count_if(key & F.col("maybe")).alias("found"), F.count_if(key & ~F.col("maybe")).alias("missed"))
+
+
+# ---- SQL for what is defined above the pieces it needs
+ORACLES["equal_key_cuts_line"] = O.query([*LINE, *CUTS_SQL, "qc1 AS (SELECT " + ", ".join(f"(SELECT min(t) FROM pre2 WHERE a_low >= {r}::DOUBLE / 4 - 1e-12) AS q{r}" for r in (1, 2, 3)) + ")", f"sp AS (SELECT c1, c2, least(greatest(q3, c2 + 1), {N - 1}) AS c3 FROM (SELECT c1, least(greatest(q2, c1 + 1), {N - 2}) AS c2, q3 FROM (SELECT least(greatest(q1, 1), {N - 3}) AS c1, q2, q3 FROM qc1)))", *O.regions_of(f"SELECT 0 AS pid, [0, c1, c2, c3, {N}] AS cuts FROM sp"), *O.capped("0.01"), "best AS (SELECT 0 AS pid)"], O.PLAN_ROWS)
+ORACLES["sandwich_for_budget_line"] = O.query([*LINE, *CUTS_SQL, f"sb AS (SELECT x.bits, t, a_low, b_low, least(1, a_low * (1 - b_low) / (b_low * (1 - a_low))) AS free FROM tl, (VALUES (2.0::DOUBLE), (4.0::DOUBLE), (6.0::DOUBLE), (8.0::DOUBLE)) x(bits) WHERE a_low > 0 AND b_low > 0 AND a_low < 1)", "sr AS (SELECT *, CASE WHEN bits + a_low * log2(free) >= 0 THEN pow(2::DOUBLE, -(bits + a_low * log2(free))) ELSE 1 END AS front, CASE WHEN bits + a_low * log2(free) >= 0 THEN free ELSE pow(2::DOUBLE, -bits / a_low) END AS backup FROM sb)", "se AS (SELECT *, front * (1 - b_low + b_low * backup) AS rate FROM sr)", "sx AS (SELECT *, row_number() OVER (PARTITION BY bits ORDER BY round(rate, 12), t) AS nth FROM se)"], f"SELECT bits AS bits_per_key, t::INT AS cut, {O.dec('front', 9)} AS front, {O.dec('backup', 9)} AS backup, {O.dec('rate', 9)} AS expected_rate FROM sx WHERE nth = 1")
+SAVED_KS = (2, 3, 4, 5, 6)
+ORACLES["saved_vs_k_line_n20"] = " UNION ALL ".join(f"SELECT * FROM ({O.query([*LINE, *O.top_boundary(k, '0.001')], f"SELECT {k} AS k, {O.dec('log2(1000::DOUBLE) - min(size)')} AS saved_per_key FROM z")})" for k in SAVED_KS)
+
+
+@add("saved_vs_k_line_n20", ORACLES["saved_vs_k_line_n20"])
+def saved_vs_k_line_n20(spark, sf_dir):
+    """Bits saved a key for each number of regions, on twenty segments."""
+    got = [(p.k, math.log2(1000) - p.bits_per_key) for p in planner.sweep_k(histogram(spark, sf_dir, "line"), SAVED_KS, 0.001)]
+    return rows(spark, got, "k int, saved_per_key double").select("k", dec("saved_per_key").alias("saved_per_key"))
+
+
+def _single_array(name: str, rate: str, keys: str) -> list[str]:
+    """SQL of an array with the keys that ``keys`` selects at a rate: sizes, set bits, and (elem, hit) of all rows."""
+    h1, h2 = u60_sql("elem"), u60_sql("elem || '#2'")
+    size = f"SELECT count(*) AS n, any_value({rate}) AS rate FROM g, tw WHERE part = 'key' AND {keys}"
+    return [
+        f"{name}_m AS (SELECT n, rate, CASE WHEN n = 0 OR rate >= 1 THEN 0 ELSE greatest(32, ceil(round({LOG2E!r}::DOUBLE * n * log2(1 / rate), 6)))::BIGINT END AS m, CASE WHEN n = 0 OR rate >= 1 THEN 0 ELSE greatest(1, round(log2(1 / rate)))::INT END AS h FROM ({size}))",
+        f"{name}_k AS (SELECT DISTINCT ({h1} % m + i * (({h2} | 1) % m)) % m AS pos FROM g, tw, {name}_m, range(60) x(i) WHERE part = 'key' AND {keys} AND m > 0 AND i < h)",
+        f"{name}_a AS (SELECT elem, CASE WHEN any_value(n) = 0 THEN false WHEN any_value(rate) >= 1 THEN true ELSE bool_and({name}_k.pos IS NOT NULL) END AS hit FROM (SELECT elem, n, rate, m, CASE WHEN m > 0 THEN ({h1} % m + i * (({h2} | 1) % m)) % m END AS pos FROM g, {name}_m, range(60) x(i) WHERE i < greatest(1, h)) y LEFT JOIN {name}_k USING (pos) GROUP BY elem)",
+    ]
+
+
+def _two_stage_sql(plan: str) -> str:
+    tw = f"tw AS ({plan})"
+    arrays = [*_single_array("f", "front", "true"), *_single_array("b", "backup", "seg < t")]
+    a = "a AS (SELECT g.elem, part, f_a.hit AND (seg >= t OR b_a.hit) AS maybe FROM g JOIN f_a USING (elem) JOIN b_a USING (elem), tw)"
+    return O.query([*LINE, *CUTS_SQL, *_sandwich_sql("0.3"), tw, *arrays, a], f"SELECT {O.ANSWERS} FROM a")
+
+
+ORACLES["probe_counts_sandwich"] = _two_stage_sql("SELECT t, front, backup FROM sw ORDER BY round(size, 9), t LIMIT 1")
+ORACLES["probe_counts_single"] = _two_stage_sql("SELECT t, 1::DOUBLE AS front, least(1, (0.3::DOUBLE - (1 - b_low)) / b_low) AS backup FROM tl WHERE a_low > 0 AND 0.3::DOUBLE - (1 - b_low) > 0 ORDER BY round(-a_low * log2(least(1, (0.3::DOUBLE - (1 - b_low)) / b_low)), 9), t LIMIT 1")

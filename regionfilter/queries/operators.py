@@ -95,12 +95,12 @@ def anti_nonkeys(spark, sf_dir):
     return table(spark, sf_dir, "lineitem", "l_orderkey").join(o, F.col("l_orderkey") == F.col("o_orderkey"), "left_anti").agg(F.count("*").alias("n"))
 
 
-@add("op_asof_plan", "SELECT event_id, max(v.day) AS plan_day FROM events JOIN (SELECT DISTINCT date_trunc('day', ts)::TIMESTAMP AS day FROM events WHERE event_id % 7 = 0) v ON v.day <= ts GROUP BY event_id")
+@add("op_asof_plan", "SELECT event_id, max(v.day) AS plan_day FROM events JOIN (SELECT DISTINCT date_trunc('day', ts)::TIMESTAMP AS day FROM events WHERE event_type = 'purchase') v ON v.day <= ts GROUP BY event_id")
 def asof_plan(spark, sf_dir):
-    """The daily plan version in force at each event: union of both sides, and the last version seen in time order
+    """The daily plan version in force at each event, versions being the days with a purchase: union of both sides, and the last version seen in time order
     within a month (the version table's grain), carried over months by one more look-up of month ends."""
-    e = table(spark, sf_dir, "events", "event_id", "ts")
-    v = e.where("event_id % 7 = 0").select(F.date_trunc("day", "ts").alias("day")).distinct()
+    e = table(spark, sf_dir, "events", "event_id", "ts", "event_type")
+    v = e.where("event_type = 'purchase'").select(F.date_trunc("day", "ts").alias("day")).distinct()
     both = e.select("event_id", "ts", F.lit(None).cast("timestamp").alias("day")).unionByName(v.select(F.lit(None).cast("bigint").alias("event_id"), F.col("day").alias("ts"), "day"))
     both = both.withColumn("month", F.date_trunc("month", "ts"))
     run = Window.partitionBy("month").orderBy("ts", F.col("day").isNull().cast("int")).rowsBetween(Window.unboundedPreceding, 0)
@@ -113,8 +113,11 @@ def asof_plan(spark, sf_dir):
 @add("op_interval_join", "SELECT a.event_id AS probe, b.event_id AS key FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts < a.ts AND b.ts >= a.ts - INTERVAL 1 HOUR")
 def interval_join(spark, sf_dir):
     e = table(spark, sf_dir, "events", "event_id", "user_id", "ts")
-    a, b = e.select(F.col("event_id").alias("probe"), "user_id", F.col("ts").alias("ta")), e.select(F.col("event_id").alias("key"), "user_id", F.col("ts").alias("tb"))
-    return a.join(b, "user_id").where("tb < ta AND tb >= ta - INTERVAL 1 HOUR").select("probe", "key")
+    hour = lambda ts: F.floor(F.unix_timestamp(ts.cast("timestamp")) / 3600)
+    # a key is listed for its hour and the next one, so that a user's keys of other times are never met
+    a = e.select(F.col("event_id").alias("probe"), "user_id", F.col("ts").alias("ta"), hour(F.col("ts")).alias("at"))
+    b = e.select(F.col("event_id").alias("key"), "user_id", F.col("ts").alias("tb"), F.explode(F.array(hour(F.col("ts")), hour(F.col("ts")) + 1)).alias("at"))
+    return a.join(b, ["user_id", "at"]).where("tb < ta AND tb >= ta - INTERVAL 1 HOUR").select("probe", "key")
 
 
 @add("op_agg_basic", f"SELECT l_returnflag, l_linestatus, count(*) AS n, sum(l_quantity) AS quantity, {sdec('avg(l_discount)')} AS discount, min(l_tax) AS low, max(l_tax) AS high FROM lineitem GROUP BY ALL")

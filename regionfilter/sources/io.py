@@ -53,8 +53,9 @@ def staged(df: DataFrame, name: str) -> DataFrame:
 
 
 def save_filter(words: DataFrame, plan: Plan, path: str) -> None:
-    """Words in Parquet, a folder for each region and sorted by word, and the plan as JSON beside them."""
-    words.repartition("region").sortWithinPartitions("region", "word").write.partitionBy("region").parquet(f"{path}/words")
+    """Words in Parquet, a folder for each region and sorted by word, and the plan as JSON beside them. Tasks take ranges
+    of words, so a region with most of the bits is written by many."""
+    words.repartitionByRange("region", "word").sortWithinPartitions("region", "word").write.partitionBy("region").parquet(f"{path}/words")
     spark = words.sparkSession
     spark.createDataFrame([(json.dumps(asdict(plan)),)], "value string").coalesce(1).write.text(f"{path}/plan")
 

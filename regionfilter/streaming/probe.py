@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from ..functions.formulas import seg_of
 from ..operators import filters
@@ -50,7 +51,8 @@ def fresh_keys(events: DataFrame, late: str = "10 minutes") -> DataFrame:
 
 def folding(plan: Plan, folder: str, n: int = 1):
     """A foreachBatch function that folds a batch's keys into the filter below folder. Batch i writes folder/i from
-    folder/(i - 1), so a batch that is run again writes the same."""
+    folder/(i - 1), so a batch that is run again writes the same; what lies further back is removed, for no batch reads
+    it again."""
 
     def fold(batch: DataFrame, i: int) -> None:
         spark = batch.sparkSession
@@ -58,6 +60,9 @@ def folding(plan: Plan, folder: str, n: int = 1):
         if i > 0:
             new = filters.merge(new, spark.read.parquet(f"{folder}/{i - 1}"))
         new.write.mode("overwrite").parquet(f"{folder}/{i}")
+        if i > 1:
+            path = spark._jvm.org.apache.hadoop.fs.Path(f"{folder}/{i - 2}")
+            path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
     return fold
 
@@ -78,17 +83,24 @@ def detection_delay(keys: DataFrame, probes: DataFrame, within: str = "1 hour",
     return p.join(k, F.expr(f"user_id = ku AND kt <= ts AND kt >= ts - INTERVAL {within}")).select("event_id", (F.unix_micros(F.col("ts").cast("timestamp")) - F.unix_micros(F.col("kt").cast("timestamp"))).alias("delay_us"))
 
 
-def drain(df: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over all there is, into files (append) or a memory table, and give what came out."""
+def drain(df: DataFrame, name: str, by: tuple[str, ...] = ()) -> DataFrame:
+    """Run a stream over all there is, into files, and give what came out. With ``by`` it runs in update mode: each
+    batch writes the rows that changed, and of each key the last one counts, open windows included. A batch that is run
+    again overwrites its own folder."""
     spark = df.sparkSession
     at = shared_folder(spark, name)
-    if mode == "append":
-        q = df.writeStream.format("parquet").option("path", f"{at}/out").option("checkpointLocation", f"{at}/state").trigger(availableNow=True).start()
-        q.awaitTermination()
+    sink = df.writeStream.option("checkpointLocation", f"{at}/state").trigger(availableNow=True)
+    if not by:
+        sink.format("parquet").option("path", f"{at}/out").start().awaitTermination()
         return spark.read.schema(df.schema).parquet(f"{at}/out")
-    q = df.writeStream.format("memory").queryName(name).option("checkpointLocation", f"{at}/state").outputMode(mode).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return spark.table(name)
+
+    def write(batch: DataFrame, i: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{at}/out/batch={i}")
+
+    sink.outputMode("update").foreachBatch(write).start().awaitTermination()
+    rows = spark.read.schema(StructType([*df.schema.fields, StructField("batch", LongType())])).parquet(f"{at}/out")
+    last = rows.groupBy(*by).agg(F.max_by(F.struct(*df.columns), "batch").alias("last"))
+    return last.select("last.*")
 
 
 def run_probe_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -99,5 +111,6 @@ def run_probe_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     words = staged(filters.build_any(keys, plan), "words")
     # the table is one file in a folder of others, so the file itself is the glob of the stream
     events = stream(spark, f"{sf_dir}", static.schema, pathGlobFilter="events.parquet")
-    counts = probe_stream(events, words, plan).groupBy(F.window("ts", "1 hour").alias("w")).agg(F.count("*").alias("asked"), F.count_if("maybe").alias("yes"))
-    return drain(counts.select(F.col("w.start").alias("start"), "asked", "yes"), "probe_counts", "complete")
+    # files of a stream come in no order, so nothing of the table may be late: the watermark is as long as its time
+    late = static.agg(F.datediff(F.max("ts"), F.min("ts"))).first()[0] or 0
+    return drain(windowed(probe_stream(events, words, plan), "1 hour", f"{late + 1} days"), "probe_counts", ("start",))

@@ -15,9 +15,11 @@ from pyspark.sql import functions as F
 from .functions.hashing import bucket, u60, u60_sql
 from .operators import elements, scorers, segments
 from .plans.thresholds import Histogram
-from .sources.io import table
+from .sources.io import staged, table
 
 CELLS = ("c1", "c2")
+#: components of a vector in embeddings
+VECTOR = 64
 URL_COPIES, URL_NOISE = 40, (1, 2, 5, 10, 20, 50)
 
 
@@ -84,9 +86,9 @@ def turns(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def vectors(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """No signal at all: keys by a label that has nothing to do with the vectors."""
+    """No signal at all: keys by a label that has nothing to do with the vectors, whose every component is a feature."""
     t = table(spark, sf_dir, "embeddings", "vec_id", "embedding", "label").where("embedding is not null")
-    return t.select(F.col("vec_id").cast("string").alias("elem"), (F.col("label") < 5).cast("int").alias("is_key"), *(F.get("embedding", F.lit(i)).cast("double").alias(f"e{i}") for i in range(16)))
+    return t.select(F.col("vec_id").cast("string").alias("elem"), (F.col("label") < 5).cast("int").alias("is_key"), *(F.get("embedding", F.lit(i)).cast("double").alias(f"e{i}") for i in range(VECTOR)))
 
 
 def zipf_weights(n: int, z: float) -> tuple[list[int], list[int]]:
@@ -135,10 +137,11 @@ def split(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scored(spark: SparkSession, sf_dir: str, name: str, n: int = 20) -> Scored:
-    """Split, cells scorer, scores and segments of a workload."""
+    """Split, cells scorer, scores and segments of a workload. The split universe is written once: training, scoring
+    and counting read it from there."""
     from .functions.formulas import seg_of
 
-    rows = split(spark, sf_dir, name)
+    rows = staged(split(spark, sf_dir, name), "universe")
     scorer = scorers.fit(rows.where("part <> 'eval'"), "cells", CELLS)
     return Scored(scorer.score(rows).withColumn("seg", seg_of(F.col("score"), n)), scorer, n)
 
