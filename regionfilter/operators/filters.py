@@ -257,7 +257,7 @@ class OneRegion:
         return Plan((0, size), (1.0,), (1.0,), (rate,), (n,), rate, "standard")
 
 
-def probe_sandwich(df: DataFrame, front: DataFrame, front_plan: Plan, score, cut: int, n_segments: int, back: DataFrame, back_plan: Plan, family: str = "md5", sizing: str = "formula") -> DataFrame:
+def probe_sandwich(df: DataFrame, front: DataFrame, front_plan: Plan, score, cut: int, n_segments: int, back: DataFrame, back_plan: Plan, family: str = "auto", sizing: str = "formula") -> DataFrame:
     """Front filter first; only its survivors are scored (``score``: DataFrame -> DataFrame with score); from the cut
     on they are accepted, below it the backup filter decides. Columns as df's, with seg and maybe."""
     asked = staged(probe(df.withColumn("seg", F.lit(0)), front, front_plan, family=family, sizing=sizing).drop("region"), "front")  # so that the front is asked once

@@ -334,7 +334,7 @@ def _two_stages(spark, sf_dir, design):
     low = int(sum(h.kc[: p.cut]))
     front_plan, back_plan = filters.OneRegion.plan(h.n, p.front, N), filters.OneRegion.plan(low, p.backup if low else 1.0, N)
     keys = g.where("part = 'key'")
-    front, back = filters.build(keys, front_plan), filters.build(keys.where(F.col("seg") < p.cut), back_plan)
+    front, back = filters.build_any(keys, front_plan), filters.build_any(keys.where(F.col("seg") < p.cut), back_plan)
     return filters.probe_sandwich(g.drop("seg"), front, front_plan, lambda d: d, p.cut, N, back, back_plan)
 
 
@@ -364,7 +364,7 @@ def built_answers(g: DataFrame, h: Histogram, k: int, target: float) -> DataFram
         if isinstance(p, baselines.TwoStage):
             low = int(sum(h.kc[: p.cut]))
             front, back = filters.OneRegion.plan(h.n, p.front, h.size), filters.OneRegion.plan(low, p.backup if low else 1.0, h.size)
-            words = [filters.build(keys, front, "xx", "exact"), filters.build(keys.where(F.col("seg") < p.cut), back, "xx", "exact")]
+            words = [filters.build_any(keys, front, "xx", "exact"), filters.build_any(keys.where(F.col("seg") < p.cut), back, "xx", "exact")]
             probed = filters.probe_sandwich(g.drop("seg"), words[0], front, lambda d: d, p.cut, h.size, words[1], back, "xx", "exact")
             bits = front.built(0, "exact")[0] + back.built(0, "exact")[0]
         elif name == "geometric_shared":
