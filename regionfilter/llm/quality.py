@@ -112,7 +112,7 @@ class Ranker:
         return 1 / (1 + np.exp(-np.clip(self.slope * (self.raw(x) - self.cut), -30, 30)))
 
 
-def fit(x: np.ndarray, y: np.ndarray, pairs: int = 40_000, steps: int = 300, penalty: float = 1e-3, seed: int = 7) -> Ranker:
+def fit(x: np.ndarray, y: np.ndarray, pairs: int = 40_000, steps: int = 40, penalty: float = 1e-3, seed: int = 7) -> Ranker:
     """Bradley-Terry weights from pairs of a good and a bad row, and the cut at the quantile of the bad share."""
     width = x.shape[1] if x.ndim == 2 else WIDTH
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
@@ -131,14 +131,17 @@ def fit(x: np.ndarray, y: np.ndarray, pairs: int = 40_000, steps: int = 300, pen
         first, second = draw.choice(good, pairs), draw.choice(bad, pairs)
     d = z[first] - z[second]
     pairs = len(d)
-    w = np.zeros(width)
-    hessian = d.T @ d / pairs / 4 + penalty * np.eye(width)
-    step = np.linalg.inv(hessian)
-    for _ in range(steps):
-        g = d.T @ (1 / (1 + np.exp(np.clip(d @ w, -30, 30)))) / pairs - penalty * w
-        w = w + step @ g
-        if np.abs(g).max() < 1e-5:
+    w, loss = np.zeros(width), lambda w: np.logaddexp(0.0, -(d @ w)).mean() + penalty * (w @ w) / 2
+    for _ in range(steps):  # Newton steps, halved where they would not help
+        miss = 1 / (1 + np.exp(np.clip(d @ w, -30, 30)))
+        g = d.T @ miss / pairs - penalty * w
+        if np.abs(g).max() < 1e-6:
             break
+        step = np.linalg.solve((d * (miss * (1 - miss))[:, None]).T @ d / pairs + penalty * np.eye(width), g)
+        size, now = 1.0, loss(w)
+        while size > 1e-3 and loss(w + size * step) > now:
+            size /= 2
+        w = w + size * step
     model.weights = w
     raw = np.sort(model.raw(x))
     at = int(np.clip(len(bad), 1, len(raw) - 1))
