@@ -29,7 +29,7 @@ TOKENIZER = public_tokenizers.path("byte_bpe_50k.json")
 #: most characters of a leaf of the tree
 LEAF = 1024
 #: chunks remembered by a worker, in two generations
-CACHE = 500_000
+CACHE = 350_000
 #: characters of texts that are in chunks at the same time, about
 SLICE = 1 << 20
 CHUNK = re.compile(r"[ \t\n\r\f\v]*[^ \t\n\r\f\v]+|[ \t\n\r\f\v]+")

@@ -112,7 +112,7 @@ class Ranker:
         return 1 / (1 + np.exp(-np.clip(self.slope * (self.raw(x) - self.cut), -30, 30)))
 
 
-def fit(x: np.ndarray, y: np.ndarray, pairs: int = 40_000, steps: int = 40, penalty: float = 1e-3, seed: int = 7) -> Ranker:
+def fit(x: np.ndarray, y: np.ndarray, pairs: int = 20_000, steps: int = 40, penalty: float = 1e-3, seed: int = 7) -> Ranker:
     """Bradley-Terry weights from pairs of a good and a bad row, and the cut at the quantile of the bad share."""
     width = x.shape[1] if x.ndim == 2 else WIDTH
     good, bad = np.flatnonzero(y == 1), np.flatnonzero(y == 0)
