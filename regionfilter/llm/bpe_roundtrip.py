@@ -1,6 +1,7 @@
 """BPE encoding and decoding of whole texts (the tree encoder of ``bpe``), with digests of both directions.
 
-Each different text is encoded and decoded once; copies get its digests by a join on the content digest.
+Texts are encoded and decoded where they stand, in one narrow pass; a worker remembers the digests of the texts it met
+last, so that copies cost it a look-up.
 Defined results: null is the empty text (no ids, the digests of nothing); special strings inside a text become
 their special id, as the library's default does; an empty table gives no rows; other columns are ignored.
 """
@@ -16,7 +17,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .bpe import TOKENIZER, encoder
-from .common import digest_of, distinct_texts, staged, table, whole_text
+from .common import Remembered, table, whole_text
 
 
 def encode_texts(texts: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
@@ -47,18 +48,24 @@ def roundtrip_digests(docs: DataFrame, tokenizer: str = TOKENIZER) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(tokenizer)
-        for b in batches:
-            out = [[], [], [], []]
-            for packed, joins in enc.encode_trees(b.column("text").to_pylist()):
-                out[3].append(joins)
-                ids = np.frombuffer(packed, dtype="<u4").tolist()
-                out[0].append(len(ids))
-                out[1].append(hashlib.sha256(",".join(map(enc.decimal_of.__getitem__, ids)).encode()).hexdigest())
-                out[2].append(hashlib.sha256(enc.decode(ids).encode()).hexdigest())
-            yield pa.RecordBatch.from_arrays([b.column("digest"), pa.array(out[0], pa.int64()), pa.array(out[1], pa.string()), pa.array(out[2], pa.string()), pa.array(out[3], pa.int64())], ["digest", "n_tokens", "ids_sha256", "decoded_sha256", "n_joins"])
 
-    coded = staged(distinct_texts(docs).mapInArrow(run, "digest binary, n_tokens long, ids_sha256 string, decoded_sha256 string, n_joins long"), "roundtrip")
-    return docs.select("doc_id", digest_of(whole_text()).alias("digest")).join(coded, "digest").select("doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "n_joins")
+        def digests(texts: list[str]) -> list[tuple]:
+            out = []
+            for packed, joins in enc.encode_trees(texts):
+                ids = np.frombuffer(packed, dtype="<u4").tolist()
+                said = hashlib.sha256(",".join(map(enc.decimal_of.__getitem__, ids)).encode()).hexdigest()
+                out.append((len(ids), said, hashlib.sha256(enc.decode(ids).encode()).hexdigest(), joins))
+            return out
+
+        known = Remembered(digests)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 500):
+                b = whole.slice(at, 500)
+                out = list(zip(*known(b.column("text").to_pylist())))
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), *(pa.array(c, k) for c, k in zip(out, (pa.int64(), pa.string(), pa.string(), pa.int64())))], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256", "n_joins"])
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
+    return rows.mapInArrow(run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string, n_joins long")
 
 
 def op7_bpe_roundtrip(spark, sf_dir: str) -> DataFrame:

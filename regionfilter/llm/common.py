@@ -2,8 +2,10 @@
 
 from __future__ import annotations
 
+import hashlib
 import tempfile
 import uuid
+from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -66,6 +68,29 @@ def keep_rows(docs: DataFrame, stay: DataFrame) -> DataFrame:
     return named(stay.where("not again")).unionByName(once)
 
 
+class Remembered:
+    """A function of texts that keeps the results of the texts its worker met last (two generations of ``limit``), by
+    SHA-256: copies cost a look-up where they stand, and no text is moved to meet its copies."""
+
+    def __init__(self, compute: Callable[[list[str]], list], limit: int = 20_000):
+        self.compute, self.limit, self.new, self.old = compute, limit, {}, {}
+
+    def __call__(self, texts: list[str]) -> list:
+        keys = [hashlib.sha256(t.encode("utf-8", "surrogatepass")).digest() for t in texts]
+        todo = {}
+        for k, t in zip(keys, texts):
+            if k not in self.new:
+                if k in self.old:
+                    self.new[k] = self.old[k]
+                else:
+                    todo[k] = t
+        self.new.update(zip(todo, self.compute(list(todo.values())), strict=True))
+        out = [self.new[k] for k in keys]
+        if len(self.new) > self.limit:
+            self.old, self.new = self.new, {}
+        return out
+
+
 def distinct_texts(docs: DataFrame) -> DataFrame:
     """(digest, text) with one row for each different text. Copies meet within each input partition first
     (partial aggregation), so a text that makes up a third of all rows is no hot key."""

@@ -8,8 +8,9 @@ and as equal windows behave alike it fills whole runs of them at once. The plan
 (length, first rank, first sequence, offset). Pieces get their rank within their length by two levels of
 counting (within a hash bucket, then over buckets), so neither a hot length nor a hot text gathers in one task.
 
-Defined results: null text is the empty text, whose document is the end id alone; equal texts are encoded once
-and packed each; repeated rows are packed each; an empty table gives no rows; other columns are ignored.
+Texts are encoded where they stand: a worker remembers the pieces of the texts it met last, and no text is moved.
+
+Defined results: null text is the empty text, whose document is the end id alone; equal texts are packed each; repeated rows are packed each; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from .bpe import TOKENIZER, encoder
-from .common import digest_of, distinct_texts, staged, table, whole_text
+from .common import Remembered, staged, table, whole_text
 
 WINDOW = 1024
 PIECES = "array<struct<start:long,length:long,ids_crc32:long>>"
@@ -100,18 +101,26 @@ def pieces(docs: DataFrame, tokenizer: str = TOKENIZER, window: int = WINDOW, en
 
     def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc, end = encoder(tokenizer), np.array([end_id], dtype="<u4").tobytes()
-        for b in batches:
-            n, cuts = [], []
-            for ids in enc.encode_many(b.column("text").to_pylist()):
+        kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())]))
+
+        def cuts(texts: list[str]) -> list[tuple]:
+            out = []
+            for ids in enc.encode_many(texts):
                 ids += end
-                n.append(len(ids) // 4)
-                cuts.append([{"start": i // 4, "length": len(part) // 4, "ids_crc32": zlib.crc32(part)} for i in range(0, len(ids), 4 * window) for part in [ids[i : i + 4 * window]]])
-            kind = pa.list_(pa.struct([("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64())]))
-            yield pa.RecordBatch.from_arrays([b.column("digest"), pa.array(n, pa.int64()), pa.array(cuts, kind)], ["digest", "doc_tokens", "pieces"])
-
-    coded = staged(distinct_texts(docs).mapInArrow(cut, f"digest binary, doc_tokens long, pieces {PIECES}"), "pieces")
-    rows = docs.select("doc_id", digest_of(whole_text()).alias("digest")).join(coded, "digest")
-    return rows.select("doc_id", "doc_tokens", F.inline("pieces"))
+                parts = [(i, ids[i : i + 4 * window]) for i in range(0, len(ids), 4 * window)]
+                out.append((len(ids) // 4, [{"start": i // 4, "length": len(x) // 4, "ids_crc32": zlib.crc32(x)} for i, x in parts]))
+            return out
+
+        known = Remembered(cuts)
+        for whole in batches:
+            for at in range(0, whole.num_rows, 500):
+                b = whole.slice(at, 500)
+                got = known(b.column("text").to_pylist())
+                yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([n for n, _ in got], pa.int64()), pa.array([x for _, x in got], kind)], ["doc_id", "doc_tokens", "pieces"])
+
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), whole_text().alias("text"))
+    coded = rows.mapInArrow(cut, f"doc_id long, doc_tokens long, pieces {PIECES}")
+    return coded.select("doc_id", "doc_tokens", F.inline("pieces"))
 
 
 def place(cut: DataFrame, window: int = WINDOW, buckets: int = 1024) -> DataFrame:
