@@ -15,8 +15,9 @@ could form one (``<``, ``[`` and the escape's own backslash) are written as two
 no text can open or close a turn. The reader takes turns back out of the output.
 
 Defined results: null text or role is empty; null turns come first, equal turns are ordered by role and text,
-repeated rows are turns each; a null conv_id is a conversation of its own; an empty table gives the extra
-conversation only; other columns are ignored.
+repeated rows are turns each; rows of null conv_id are one conversation; an empty table gives the extra
+conversation only; other columns are ignored. A conversation is one task's work, as its digests run over its turns in
+order: memory is bounded by a turn, time by the longest conversation.
 """
 
 from __future__ import annotations
