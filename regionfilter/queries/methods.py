@@ -238,7 +238,7 @@ def _fixed_plan(spark, sf_dir, target: float = TARGET):
 
 
 def _standard_plan(h: Histogram, target: float = TARGET) -> planner.Plan:
-    return filters.OneRegion.plan(h.n, target, N)
+    return filters.OneRegion.plan(h.n, target, h.size)
 
 
 def _answers(probed, *by):
@@ -689,30 +689,40 @@ def plan_cost_steps(spark, sf_dir):
     return rows(spark, got, "n int, k int, steps bigint")
 
 
-@add("quality_sweep_line")
-def quality_sweep_line(spark, sf_dir):
-    """F1, divergence and bits as ever more scores are replaced by noise."""
-    g = staged(scored(spark, sf_dir, "line", 100).rows.select("elem", "is_key", "part", "score"), "scored")
-    from ..functions.formulas import seg_of
-    from ..functions.hashing import bucket
-
-    got = []
-    for noise in (0, 10, 20, 30, 40):
-        drawn = bucket(F.col("elem"), "worse", 1000) / F.lit(1000.0)
-        worse = g.withColumn("score", F.when(bucket(F.col("elem"), "pick") < noise, drawn).otherwise(F.col("score"))).withColumn("seg", seg_of(F.col("score"), 100))
-        p = planner.top_boundary(Histogram.of(segments.histogram(worse, 100)), 5, 0.001)
-        got.append((noise, float(measure.f1(worse).first()["f1"]), p.divergence, p.bits_per_key))
-    return rows(spark, got, "noise int, f1 double, divergence double, bits_per_key double")
-
-
-@add("standard_vs_region_arrays")
-def standard_vs_region_arrays(spark, sf_dir):
-    """Real arrays: bits and fill of the plain filter and of the regions' at the same target."""
-    g, h, _ = _fixed_plan(spark, sf_dir)
-    keys, out = g.where("part = 'key'"), []
-    for name, p in (("region", planner.top_boundary(h, 5, TARGET)), ("standard", _standard_plan(h))):
-        out.append(filters.fill(filters.build(keys, p), p).select(F.lit(name).alias("method"), "region", "m", "set_bits", "fill"))
-    return out[0].unionByName(out[1])
+def _scored_rows(spark, sf_dir, name: str, n: int = 100):
+    """Staged rows with score and seg, and the smoothing that fits the workload's number of queries."""
+    g = staged(scored(spark, sf_dir, name, n).rows.select("elem", "is_key", "part", "score", "seg"), "scored")
+    return g, 0.5 if name in ("line", "url") else 0.05
+
+
+def _against_standard(name: str):
+    @add(f"quality_sweep_{name}")
+    def quality_sweep(spark, sf_dir):
+        """F1, divergence and bits as ever more scores are replaced by noise."""
+        from ..functions.formulas import seg_of
+        from ..functions.hashing import bucket
+
+        (g, alpha), got = _scored_rows(spark, sf_dir, name), []
+        for noise in (0, 10, 20, 30, 40):
+            drawn = bucket(F.col("elem"), "worse", 1000) / F.lit(1000.0)
+            worse = g.withColumn("score", F.when(bucket(F.col("elem"), "pick") < noise, drawn).otherwise(F.col("score"))).withColumn("seg", seg_of(F.col("score"), 100))
+            p = planner.top_boundary(Histogram.of(segments.histogram(worse, 100), alpha), 5, 0.001)
+            got.append((noise, float(measure.f1(worse).first()["f1"] or 0.0), p.divergence, p.bits_per_key))
+        return rows(spark, got, "noise int, f1 double, divergence double, bits_per_key double")
+
+    @add("standard_vs_region_arrays" if name == "line" else f"standard_vs_region_arrays_{name}")
+    def arrays(spark, sf_dir):
+        """Real arrays: bits and fill of the plain filter and of the regions' at the same target."""
+        g, alpha = _scored_rows(spark, sf_dir, name)
+        h = Histogram.of(segments.histogram(g, 100), alpha)
+        keys, out = g.where("part = 'key'"), []
+        for method, p in (("region", planner.top_boundary(h, 5, TARGET)), ("standard", _standard_plan(h))):
+            out.append(filters.fill(filters.build(keys, p, "xx"), p).select(F.lit(method).alias("method"), "region", "m", "set_bits", "fill"))
+        return out[0].unionByName(out[1])
+
+
+for _name in ("line", "url", "docs"):
+    _against_standard(_name)
 
 
 @add("advisor_all")
