@@ -97,7 +97,7 @@ def test_whole_documents_go_through_the_tree(spark, sf, leaf):
         ids, made = enc.encode_tree(t)
         assert np.frombuffer(ids, dtype="<u4").tolist() == e.ids
         joins += made
-        assert made >= len(t) // leaf - 1
+        assert made >= len(t) // (leaf + 1) - 1
     assert joins > len(texts)
     flat = enc.encode_many(texts)
     assert [len(x) // 4 for x in flat] == [len(enc.encode_tree(t)[0]) // 4 for t in texts]
