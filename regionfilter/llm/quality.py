@@ -84,11 +84,18 @@ def features(text: str) -> np.ndarray:
     return np.concatenate([shape, _shares(grams), _shares(said)])
 
 
+def _slices(batches: Iterator[pa.RecordBatch], rows: int = 500) -> Iterator[pa.RecordBatch]:
+    """Some rows at a time, so that few whole texts are held as strings."""
+    for b in batches:
+        for at in range(0, b.num_rows, rows):
+            yield b.slice(at, rows)
+
+
 def feature_rows(docs: DataFrame) -> DataFrame:
     """(doc_id, x array<double>) of every document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in _slices(batches):
             x = [features(t).tolist() for t in b.column("text").to_pylist()]
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(x, pa.list_(pa.float64()))], ["doc_id", "x"])
 
@@ -170,7 +177,7 @@ def scored(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) -> Da
     model = trained(docs, labels, max_labelled)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in _slices(batches):
             x = np.array([features(t) for t in b.column("text").to_pylist()], dtype=float).reshape(-1, WIDTH)
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(model.score(x), pa.float64())], ["doc_id", "score"])
 
@@ -183,7 +190,7 @@ def keep_good(docs: DataFrame, labels: DataFrame, max_labelled: int = 20_000) ->
     model = trained(docs, labels, max_labelled)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in _slices(batches):
             x = np.array([features(t or "") for t in b.column("text").to_pylist()], dtype=float).reshape(-1, WIDTH)
             yield b.filter(pa.array(model.score(x) >= 0.5, pa.bool_()))
 
