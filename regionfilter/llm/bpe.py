@@ -97,14 +97,14 @@ class Encoder:
         return [b"".join(map(look, c)) for c in chunks]
 
     def encode_trees(self, texts: list[str]) -> list[tuple[bytes, int]]:
-        """(ids, joins) of each text, by the tree."""
+        """(ids, joins) of each text, by the tree. All leaves are learned together first: the library is asked in bulk."""
+        self.encode_many([leaf for t in texts for p in self._parts(t) if p not in self.special for leaf in self._leaves(p)])
         return [self.encode_tree(t) for t in texts]
 
     def encode_tree(self, text: str) -> tuple[bytes, int]:
         """The ids of a text, and how many joins were made."""
-        parts = [p for p in self.special_cut.split(text) if p] if self.special_cut and any(s in text for s in self.special) else [text]
         ids, joins = [], 0
-        for p in parts:
+        for p in self._parts(text):
             if p in self.special or len(p) <= self.leaf:
                 ids.append(self.encode_many([p])[0])
             else:
@@ -113,6 +113,17 @@ class Encoder:
                 joins += made
         return b"".join(ids), joins
 
+    def _parts(self, text: str) -> list[str]:
+        """A text cut at special strings."""
+        return [p for p in self.special_cut.split(text) if p] if self.special_cut and any(s in text for s in self.special) else [text]
+
+    def _leaves(self, run: str) -> list[str]:
+        """Halves of halves of a text, until they are short."""
+        cuts = [0, len(run)]
+        while cuts[1] - cuts[0] > self.leaf:
+            cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
+        return [run[a:b] for a, b in zip(cuts, cuts[1:])]
+
     def encode(self, text: str) -> list[int]:
         return np.frombuffer(self.encode_many([text])[0], dtype="<u4").tolist()
 
@@ -160,11 +171,11 @@ class Encoder:
                 alone.append(c)
         for i in range(0, len(joined), 4096):
             self._learn_joined(joined[i : i + 4096])
-        for c, e in zip(alone, self.library.encode_batch_fast(alone, add_special_tokens=False), strict=True):
-            self.known[c] = np.array(e.ids, dtype="<u4").tobytes()
+        for c, ids in zip(alone, self._ids_of(alone), strict=True):
+            self.known[c] = np.array(ids, dtype="<u4").tobytes()
 
     def _learn_joined(self, chunks: list[str]) -> None:
-        ids = np.array(self.library.encode_batch_fast(["".join(chunks)], add_special_tokens=False)[0].ids, dtype="<u4")
+        ids = np.array(self._ids_of(["".join(chunks)])[0], dtype="<u4")
         ends = np.cumsum(self.length_of[ids])
         cuts = np.searchsorted(ends, np.cumsum([len(c.encode()) for c in chunks]), side="left") + 1
         start = 0
@@ -174,10 +185,7 @@ class Encoder:
 
     def _tree(self, run: str) -> tuple[np.ndarray, int]:
         """The ids of a text without special strings: leaves first, all together, then joins level by level."""
-        cuts = [0, len(run)]
-        while cuts[1] - cuts[0] > self.leaf:  # halves of halves
-            cuts = sorted({*cuts, *((a + b) // 2 for a, b in zip(cuts, cuts[1:]))})
-        leaves = [run[a:b] for a, b in zip(cuts, cuts[1:])]
+        leaves = self._leaves(run)
         data, at, ends = run.encode(), 0, []
         for t in leaves:
             at += len(t.encode())
@@ -193,7 +201,13 @@ class Encoder:
         chunks = self.chunks(text)
         if max(map(len, chunks)) < self.leaf:
             return np.frombuffer(self._encode_slice([text])[0], dtype="<u4")
-        return np.array(self.library.encode_batch_fast([text], add_special_tokens=False)[0].ids, dtype="<u4")
+        return np.array(self._ids_of([text])[0], dtype="<u4")
+
+    def _ids_of(self, texts: list[str]) -> list[list[int]]:
+        """The library's ids; few texts one by one, for its batches start threads."""
+        if len(texts) < 8 and sum(map(len, texts)) < 4096:
+            return [self.library.encode(t, add_special_tokens=False).ids for t in texts]
+        return [e.ids for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _join(self, data: bytes, a: np.ndarray, middle: int, b: np.ndarray) -> np.ndarray:
         """The ids of two neighbouring parts of data that meet at ``middle``."""
