@@ -97,21 +97,24 @@ class Encoder:
         return [b"".join(map(look, c)) for c in chunks]
 
     def encode_trees(self, texts: list[str]) -> list[tuple[bytes, int]]:
-        """(ids, joins) of each text, by the tree. All leaves are learned together first: the library is asked in bulk."""
-        self.encode_many([leaf for t in texts for p in self._parts(t) if p not in self.special for leaf in self._leaves(p)])
-        return [self.encode_tree(t) for t in texts]
+        """(ids, joins) of each text, by the tree. The leaves of all texts are encoded together: the library is asked in bulk."""
+        parts = [[(p, [p] if p in self.special else self._leaves(p)) for p in self._parts(t)] for t in texts]
+        encoded, out = iter(self.encode_many([x for of in parts for _, leaves in of for x in leaves])), []
+        for of in parts:
+            ids, joins = [], 0
+            for p, leaves in of:
+                if len(leaves) == 1:
+                    ids.append(next(encoded))
+                else:
+                    whole, made = self._joined(p, leaves, [np.frombuffer(next(encoded), dtype="<u4") for _ in leaves])
+                    ids.append(whole.astype("<u4").tobytes())
+                    joins += made
+            out.append((b"".join(ids), joins))
+        return out
 
     def encode_tree(self, text: str) -> tuple[bytes, int]:
         """The ids of a text, and how many joins were made."""
-        ids, joins = [], 0
-        for p in self._parts(text):
-            if p in self.special or len(p) <= self.leaf:
-                ids.append(self.encode_many([p])[0])
-            else:
-                whole, made = self._tree(p)
-                ids.append(whole.astype("<u4").tobytes())
-                joins += made
-        return b"".join(ids), joins
+        return self.encode_trees([text])[0]
 
     def _parts(self, text: str) -> list[str]:
         """A text cut at special strings."""
@@ -186,11 +189,15 @@ class Encoder:
     def _tree(self, run: str) -> tuple[np.ndarray, int]:
         """The ids of a text without special strings: leaves first, all together, then joins level by level."""
         leaves = self._leaves(run)
+        return self._joined(run, leaves, [self._leaf(t) for t in leaves])
+
+    def _joined(self, run: str, leaves: list[str], encoded: list[np.ndarray]) -> tuple[np.ndarray, int]:
+        """The ids of a text from those of its leaves, and how many joins were made."""
         data, at, ends = run.encode(), 0, []
         for t in leaves:
             at += len(t.encode())
             ends.append(at)
-        level, joins = [(self._leaf(t), end) for t, end in zip(leaves, ends)], 0
+        level, joins = list(zip(encoded, ends, strict=True)), 0
         while len(level) > 1:
             joins += len(level) // 2
             level = [(self._join(data, level[i][0], level[i][1], level[i + 1][0]), level[i + 1][1]) if i + 1 < len(level) else level[i] for i in range(0, len(level), 2)]

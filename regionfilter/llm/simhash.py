@@ -54,7 +54,11 @@ def shingle_hashes(text: str, shingle: int = SHINGLE) -> np.ndarray:
 
 def fingerprint(text: str, shingle: int = SHINGLE) -> int:
     """64-bit SimHash of a text: a bit is set if more than half of the shingles' hashes have it."""
-    hashes = shingle_hashes(text, shingle)
+    return fingerprint_of(shingle_hashes(text, shingle))
+
+
+def fingerprint_of(hashes: np.ndarray) -> int:
+    """The same of shingle hashes."""
     if not len(hashes):
         return 0
     ones = np.zeros(64, dtype=np.int64)

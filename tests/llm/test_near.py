@@ -86,3 +86,31 @@ def test_near_edges(spark):
     assert kept.columns == ["doc_id", "text", "node", "sha"]
     assert sorted((r["doc_id"] or 0, r["text"].lower()) for r in kept.collect()) == [(0, "n"), (1, "a b"), (1, "c d")]
     assert near.near_components(docs.where("false")).count() == 0
+
+
+def test_fingerprints_propose_pairs(spark, monkeypatch):
+    """Without any band in common, near copies within two bits are still found by their fingerprints."""
+    rng = random.Random(9)
+    words = [f"w{rng.randrange(9999)}" for _ in range(4000)]
+    own = near.fingerprint_of(near.shingle_set(" ".join(words)))
+    copies = [" ".join([*words[:at], "other", *words[at + 1 :]]) for at in range(0, 4000, 50)]
+    close = [t for t in copies if (near.fingerprint_of(near.shingle_set(t)) ^ own).bit_count() <= 2][:2]
+    docs = list(enumerate([" ".join(words), *close]))
+    assert len(docs) == 3
+    monkeypatch.setattr(near, "_stars", lambda members, hubs, least: members.where("false").select(F.col("m.node").alias("a"), F.col("m.node").alias("b")))
+    got = near.near_components(spark.createDataFrame(docs, SCHEMA), crowded=1 << 30).select("component_id").distinct().collect()
+    assert [r[0] for r in got] == [0]
+
+
+def test_late_links_are_no_more_than_a_forest():
+    """All members of a group are linked to one another; what comes out leads to each once."""
+    import numpy as np
+    import pyarrow as pa
+
+    grams = [np.unique(np.concatenate([np.arange(400), [1000 + i]])).astype("<u8").tobytes() for i in range(300)]
+    table_ = pa.table({"node": pa.array(range(300), pa.int64()), "label": pa.array(range(300), pa.int64()), "grams": pa.array(grams, pa.binary())})
+    up = {}
+    first = near._against(table_.slice(0, 100), 0.8, up)
+    assert sum(t.num_rows for t in first(iter(table_.slice(0, 100).to_batches()))) == 99
+    rest = [(x, y) for t in first(iter(table_.to_batches())) for x, y in zip(*t.to_pydict().values())]
+    assert len(rest) == 200
