@@ -31,3 +31,14 @@ def test_the_universe_goes_before_filters_are_built(spark, sf, monkeypatch):
 def test_rows_meet_their_cells_without_a_shuffle(spark, sf):
     rows = workloads.scored(spark, sf, "line").rows
     assert "Exchange hashpartitioning" not in rows._jdf.queryExecution().executedPlan().toString()
+
+
+def test_probes_shuffle_no_row_for_each_position(spark, sf):
+    """Bitmaps of a broadcast size meet the rows where they are; blocks meet a row's two offsets, not its positions."""
+    g, _, p = methods._fixed_plan(spark, sf)
+    keys = g.where("part = 'key'")
+    plan = filters.probe_bitmap(g, filters.build_bitmap(keys, p, "md5"), p, "md5")._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange hashpartitioning" not in plan and "Generate" not in plan
+    blocks = workloads.staged(filters.build_blocked(keys, p, "md5"), "blocks").hint("merge")
+    plan = filters.probe(g, blocks, p, "shuffle", "md5")._jdf.queryExecution().optimizedPlan().toString()
+    assert "transform(" not in plan[plan.index("Join"):]
