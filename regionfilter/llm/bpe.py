@@ -259,11 +259,11 @@ def _byte_chars() -> list[str]:
     return [chr(b) if b in shown else chr(next(hidden)) for b in range(256)]
 
 
-_ENCODERS: dict[str, Encoder] = {}
+_ENCODERS: dict[tuple[str, int], Encoder] = {}
 
 
-def encoder(path: str = TOKENIZER) -> Encoder:
-    """The worker's encoder of a file, loaded once."""
-    if path not in _ENCODERS:
-        _ENCODERS[path] = Encoder(path)
-    return _ENCODERS[path]
+def encoder(path: str = TOKENIZER, cache: int = CACHE) -> Encoder:
+    """The worker's encoder of a file that remembers so many chunks, loaded once."""
+    if (path, cache) not in _ENCODERS:
+        _ENCODERS[path, cache] = Encoder(path, cache=cache)
+    return _ENCODERS[path, cache]
