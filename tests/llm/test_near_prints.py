@@ -89,3 +89,18 @@ def test_small_sets_are_searched_by_more_indexes():
         five = np.unique(rng.integers(0, 1 << 63, 5, dtype=np.uint64))
         sets += [five, np.delete(five, rng.integers(5))]
     assert {(2 * k, 2 * k + 1) for k in range(300)} <= set(_searched(sets, n=200_000)[0])
+
+
+def test_a_group_of_any_size_brings_two_choices_a_node():
+    """The pairs to count out grow with the nodes of a group of near copies, not with its square."""
+    rng = np.random.default_rng(6)
+    base = rng.integers(0, 1 << 63, 300, dtype=np.uint64)
+    for m in (40, 200):
+        sets = [np.unique(np.concatenate([base, rng.integers(0, 1 << 63, 10, dtype=np.uint64)])) for _ in range(m)]
+        prints = np.array([near.wide_fingerprint(s) for s in sets], dtype=np.uint64).view(np.int64)
+        batch = pa.RecordBatch.from_arrays([pa.array(range(m), pa.int64()), pa.array([len(s) for s in sets], pa.int32()), *(pa.array(prints[:, i].copy()) for i in range(near.WORDS))], ["node", "n", *near._FP])
+        moved = pa.Table.from_batches(near._moved(iter([batch]))).to_pylist()
+        schema = pa.schema([("block", pa.int32()), ("value", pa.int32()), ("prints", pa.binary())])
+        packed = [near._chosen(m, 0, 0.8, near.CROWDED, 1)(pa.Table.from_pylist([r], schema)) for r in moved]
+        pairs = near._best(pa.concat_tables(packed)).to_pydict()
+        assert m - 1 <= len(pairs["a"]) <= 2 * m and set(pairs["a"]) | set(pairs["b"]) == set(range(m))
